@@ -4,13 +4,19 @@ from __future__ import annotations
 
 from beamrank.llm.exact_dedup import exact_groups
 from beamrank.llm.mixing import mix_counts
+from beamrank.llm.packing import pack_documents
 from beamrank.llm.sharding import shard_documents
+from beamrank.llm.sstable import encode_to_tables
 
 
 def _table(spark, sf_dir, name):
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_best_fit_packing(spark, sf_dir):
+    return pack_documents(_table(spark, sf_dir, "documents"))
+
+
 def op3_histogram_sort(spark, sf_dir):
     return shard_documents(_table(spark, sf_dir, "documents"))
 
@@ -22,14 +28,20 @@ def op6_mix_sources(spark, sf_dir):
     return out.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 
 
+def op9_sorted_tables(spark, sf_dir):
+    return encode_to_tables(spark, _table(spark, sf_dir, "documents"))
+
+
 def op10_exact_dedup(spark, sf_dir):
     return exact_groups(_table(spark, sf_dir, "documents"))
 
 
 def queries():
     return {
+        "op1_best_fit_packing": op1_best_fit_packing,
         "op3_histogram_sort": op3_histogram_sort,
         "op6_mix_sources": op6_mix_sources,
+        "op9_sorted_tables": op9_sorted_tables,
         "op10_exact_dedup": op10_exact_dedup,
     }
 
