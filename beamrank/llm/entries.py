@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 from beamrank.llm.exact_dedup import exact_groups
+from beamrank.llm.licenses import RULES, SENTENCES, STEMS, scan_licenses
 from beamrank.llm.mixing import mix_counts
 from beamrank.llm.packing import pack_documents
+from beamrank.llm.quality import score_documents
 from beamrank.llm.sharding import shard_documents
 from beamrank.llm.sstable import encode_to_tables
 
@@ -17,6 +19,10 @@ def op1_best_fit_packing(spark, sf_dir):
     return pack_documents(_table(spark, sf_dir, "documents"))
 
 
+def op2_license_scan(spark, sf_dir):
+    return scan_licenses(_table(spark, sf_dir, "documents"))
+
+
 def op3_histogram_sort(spark, sf_dir):
     return shard_documents(_table(spark, sf_dir, "documents"))
 
@@ -28,6 +34,10 @@ def op6_mix_sources(spark, sf_dir):
     return out.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 
 
+def op8_quality_classifier(spark, sf_dir):
+    return score_documents(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
 def op9_sorted_tables(spark, sf_dir):
     return encode_to_tables(spark, _table(spark, sf_dir, "documents"))
 
@@ -39,13 +49,40 @@ def op10_exact_dedup(spark, sf_dir):
 def queries():
     return {
         "op1_best_fit_packing": op1_best_fit_packing,
+        "op2_license_scan": op2_license_scan,
         "op3_histogram_sort": op3_histogram_sort,
         "op6_mix_sources": op6_mix_sources,
+        "op8_quality_classifier": op8_quality_classifier,
         "op9_sorted_tables": op9_sorted_tables,
         "op10_exact_dedup": op10_exact_dedup,
     }
 
 
+OP2_SQL = """
+with known as (select unnest([{keys}]) as id, unnest([{texts}]) as sentence),
+rules as (select unnest([{rules}]) as rule, unnest([{licenses}]) as license, unnest([{patterns}]) as pattern),
+d as (select row_number() over () as r, doc_id, text from documents where regexp_matches(lower(text), '{stems}')),
+cut as (
+  select r, doc_id, unnest(string_split_regex(regexp_replace(text, '([.!?])[ \t\r\f]+', '\1' || chr(10), 'g'), '\n+')) as s,
+         unnest(range(0, len(string_split_regex(regexp_replace(text, '([.!?])[ \t\r\f]+', '\1' || chr(10), 'g'), '\n+')))) as nth
+  from d),
+seen as (
+  select r, doc_id, nth, id from cut join known on trim(regexp_replace(lower(s), '[^a-z0-9]+', ' ', 'g')) = sentence),
+docs as (
+  select r, any_value(doc_id) as doc_id, string_agg('<' || id || '>', '' order by nth) as sequence, list(nth order by nth) as places from seen group by r)
+select doc_id, license, rule,
+       ((length(sequence) - length(replace(sequence, pattern, ''))) / length(pattern))::bigint as matches,
+       places[len(regexp_extract_all(substr(sequence, 1, instr(sequence, pattern) - 1), '<')) + 1]::int as first_sentence
+from docs join rules on contains(sequence, pattern)
+""".format(
+    keys=", ".join(map(str, SENTENCES)),
+    texts=", ".join(f"'{s}'" for s in SENTENCES.values()),
+    rules=", ".join(f"'{r[0]}'" for r in RULES),
+    licenses=", ".join(f"'{r[1]}'" for r in RULES),
+    patterns=", ".join("'" + "".join(f"<{i}>" for i in r[2]) + "'" for r in RULES),
+    stems="|".join(STEMS),
+)
+
 #: CRC-32 of the UTF-8 bytes of t in table ``source``, from the rule of its polynomial.
 CRC_SQL = """
 crc_table as (
@@ -114,4 +151,4 @@ from documents window g as (partition by coalesce(text, ''))
 
 
 def oracle_sql():
-    return {"op3_histogram_sort": OP3_SQL, "op6_mix_sources": OP6_SQL, "op10_exact_dedup": OP10_SQL}
+    return {"op2_license_scan": OP2_SQL, "op3_histogram_sort": OP3_SQL, "op6_mix_sources": OP6_SQL, "op10_exact_dedup": OP10_SQL}
