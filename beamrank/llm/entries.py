@@ -5,6 +5,7 @@ from __future__ import annotations
 from beamrank.llm.exact_dedup import exact_groups
 from beamrank.llm.licenses import RULES, SENTENCES, STEMS, scan_licenses
 from beamrank.llm.mixing import mix_counts
+from beamrank.llm.near_dedup import near_classes
 from beamrank.llm.packing import pack_documents
 from beamrank.llm.quality import score_documents
 from beamrank.llm.sharding import shard_documents
@@ -27,6 +28,10 @@ def op3_histogram_sort(spark, sf_dir):
     return shard_documents(_table(spark, sf_dir, "documents"))
 
 
+def op4_bag_minhash(spark, sf_dir):
+    return near_classes(_table(spark, sf_dir, "documents"))
+
+
 def op6_mix_sources(spark, sf_dir):
     from pyspark.sql import functions as F
 
@@ -51,6 +56,7 @@ def queries():
         "op1_best_fit_packing": op1_best_fit_packing,
         "op2_license_scan": op2_license_scan,
         "op3_histogram_sort": op3_histogram_sort,
+        "op4_bag_minhash": op4_bag_minhash,
         "op6_mix_sources": op6_mix_sources,
         "op8_quality_classifier": op8_quality_classifier,
         "op9_sorted_tables": op9_sorted_tables,
