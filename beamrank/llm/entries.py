@@ -10,6 +10,7 @@ from beamrank.llm.packing import pack_documents
 from beamrank.llm.quality import score_documents
 from beamrank.llm.sharding import shard_documents
 from beamrank.llm.sstable import encode_to_tables
+from beamrank.llm.vectors import vector_links
 
 
 def _table(spark, sf_dir, name):
@@ -39,6 +40,10 @@ def op6_mix_sources(spark, sf_dir):
     return out.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 
 
+def op7_collision_counting(spark, sf_dir):
+    return vector_links(_table(spark, sf_dir, "embeddings"))
+
+
 def op8_quality_classifier(spark, sf_dir):
     return score_documents(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
@@ -58,6 +63,7 @@ def queries():
         "op3_histogram_sort": op3_histogram_sort,
         "op4_bag_minhash": op4_bag_minhash,
         "op6_mix_sources": op6_mix_sources,
+        "op7_collision_counting": op7_collision_counting,
         "op8_quality_classifier": op8_quality_classifier,
         "op9_sorted_tables": op9_sorted_tables,
         "op10_exact_dedup": op10_exact_dedup,
@@ -149,6 +155,21 @@ select doc_id, size, source_size, target,
 from u join c on u.source is not distinct from c.source and u.k = c.seed
 """
 
+OP7_SQL = """
+with recursive e as (
+  select vec_id, label, embedding::double[] as v from embeddings
+  where label is not null and embedding is not null
+    and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0),
+links as (
+  select a.vec_id as a, b.vec_id as b from e a join e b on a.label = b.label and a.vec_id <> b.vec_id
+  where list_cosine_similarity(a.v, b.v) >= 0.93),
+reach as (select vec_id as a, vec_id as b from embeddings union select r.a, l.b from reach r join links l on r.b = l.a),
+least as (select a, min(b) as component_id from reach group by a),
+n as (select a, count(*) as n_links from links group by a)
+select vec_id, coalesce(n_links, 0)::bigint as n_links, component_id, vec_id = component_id as kept
+from embeddings join least on vec_id = least.a left join n on vec_id = n.a
+"""
+
 OP10_SQL = """
 select doc_id, max(doc_id) over g as keep_id, count(*) over g as group_size,
        row_number() over (partition by coalesce(text, '') order by doc_id desc nulls last) = 1 as kept, sha256(coalesce(text, '')) as text_sha256
@@ -157,4 +178,4 @@ from documents window g as (partition by coalesce(text, ''))
 
 
 def oracle_sql():
-    return {"op2_license_scan": OP2_SQL, "op3_histogram_sort": OP3_SQL, "op6_mix_sources": OP6_SQL, "op10_exact_dedup": OP10_SQL}
+    return {"op2_license_scan": OP2_SQL, "op3_histogram_sort": OP3_SQL, "op6_mix_sources": OP6_SQL, "op7_collision_counting": OP7_SQL, "op10_exact_dedup": OP10_SQL}
