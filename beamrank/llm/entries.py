@@ -6,6 +6,7 @@ from beamrank.llm.exact_dedup import exact_groups
 from beamrank.llm.licenses import RULES, SENTENCES, STEMS, scan_licenses
 from beamrank.llm.mixing import mix_counts
 from beamrank.llm.near_dedup import near_classes
+from beamrank.llm.ngrams import score_documents as score_by_language_model
 from beamrank.llm.packing import pack_documents
 from beamrank.llm.quality import score_documents
 from beamrank.llm.sharding import shard_documents
@@ -33,6 +34,10 @@ def op4_bag_minhash(spark, sf_dir):
     return near_classes(_table(spark, sf_dir, "documents"))
 
 
+def op5_kneser_ney(spark, sf_dir):
+    return score_by_language_model(_table(spark, sf_dir, "documents"))
+
+
 def op6_mix_sources(spark, sf_dir):
     from pyspark.sql import functions as F
 
@@ -62,6 +67,7 @@ def queries():
         "op2_license_scan": op2_license_scan,
         "op3_histogram_sort": op3_histogram_sort,
         "op4_bag_minhash": op4_bag_minhash,
+        "op5_kneser_ney": op5_kneser_ney,
         "op6_mix_sources": op6_mix_sources,
         "op7_collision_counting": op7_collision_counting,
         "op8_quality_classifier": op8_quality_classifier,
