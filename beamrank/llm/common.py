@@ -6,6 +6,9 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,6 +16,8 @@ from pyspark.sql import functions as F
 #: Rows of a table of narrow rows (ids and digests) that may be sent to every executor.
 BROADCAST_ROWS = 1_000_000
 
+_scope: ContextVar[str] = ContextVar("scope", default="all")
+
 _local_root: dict[str, str] = {}
 
 
@@ -35,12 +40,22 @@ def scratch_root(spark: SparkSession) -> str:
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex[:12]}"
+    return f"{scratch_root(spark)}/{_scope.get()}/{name}-{uuid.uuid4().hex[:12]}"
+
+
+@contextmanager
+def scratch_scope(name: str) -> Iterator[None]:
+    """Durable tables that are made inside lie in a folder that ``release_scratch`` can delete."""
+    token = _scope.set(name)
+    try:
+        yield
+    finally:
+        _scope.reset(token)
 
 
-def release_scratch(spark: SparkSession) -> None:
-    """Delete every durable table of this application. Only for callers whose results are written."""
-    root = spark._jvm.org.apache.hadoop.fs.Path(scratch_root(spark))
+def release_scratch(spark: SparkSession, scope: str) -> None:
+    """Delete the durable tables of a scope, once what was made of them is written."""
+    root = spark._jvm.org.apache.hadoop.fs.Path(f"{scratch_root(spark)}/{scope}")
     root.getFileSystem(spark._jsc.hadoopConfiguration()).delete(root, True)
 
 
