@@ -146,7 +146,7 @@ l as (
   select *, ((sum(source_size) over () - 3 * coalesce(sum(source_size) over (order by source_size / weight, source nulls last rows between unbounded preceding and 1 preceding), 0))
      / sum(weight) over (order by source_size / weight, source nulls last rows between current row and unbounded following))::double as level from s),
 t as (
-  select *, coalesce(least(3.0::double * source_size, (min(level) filter (level * weight <= 3 * source_size) over ()) * weight), 0)::double as target from l),
+  select *, coalesce(least(3.0::double * source_size, (max(level) filter (level * weight <= 3 * source_size) over ()) * weight), 0)::double as target from l),
 r as (select *, case when source_size > 0 then least(3.0::double, target / source_size) else 0.0 end as rate from t),
 u as (
   select d.doc_id, d.size, r.source, r.source_size, r.target, r.rate, k,

@@ -58,7 +58,8 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, max_repeat: int = MAX_REPE
         "level", (F.sum("source_size").over(one) - max_repeat * (F.sum("source_size").over(upto) - F.col("source_size"))) / F.sum("weight").over(onward)
     )
     fits = F.col("level") * F.col("weight") <= max_repeat * F.col("source_size")
-    level = F.min(F.when(fits, F.col("level"))).over(one)
+    # the first that fits; levels after it only fall
+    level = F.max(F.when(fits, F.col("level"))).over(one)
     target = F.least(F.lit(float(max_repeat)) * F.col("source_size"), level * F.col("weight"))
     out = levels.withColumn("target", F.coalesce(target, F.lit(0.0)))
     rate = F.when(F.col("source_size") > 0, F.least(F.lit(float(max_repeat)), F.col("target") / F.col("source_size"))).otherwise(F.lit(0.0))
