@@ -156,9 +156,10 @@ pairs as (select o.beam_id, o.item_id as item_id_1, o.correct as correct_1, o.sc
 CHOICE_SQL = " select beam_id, case when score_2 > score_1 then item_id_2 else item_id_1 end as item_id, case when score_2 > score_1 then correct_2 else correct_1 end as correct from pairs"
 
 
-@query("binary_beams", _pair_sql("pos") + " select * from pairs")
+@query("binary_beams", _pair_sql("pos") + " select beam_id, item_id_1, score_1, coalesce(item_id_2, -1) as item_id_2, coalesce(score_2, -1) as score_2 from pairs")
 def binary_beams(spark, d):
-    return rerank.binary_beams(line_beams(spark, d))
+    pairs = rerank.binary_beams(line_beams(spark, d))
+    return pairs.select("beam_id", "item_id_1", "score_1", F.coalesce("item_id_2", F.lit(-1)).alias("item_id_2"), F.coalesce("score_2", F.lit(-1.0)).alias("score_2"))
 
 
 @query("rerank_hybrid", _pair_sql("pos") + CHOICE_SQL)
