@@ -1,4 +1,4 @@
 """All registered queries."""
 
-from beamrank.plans import ablation_queries, beam_queries, text_queries  # noqa: F401
+from beamrank.plans import ablation_queries, beam_queries, sql_queries, text_queries  # noqa: F401
 from beamrank.plans.registry import ORACLES, QUERIES  # noqa: F401
