@@ -293,8 +293,12 @@ def fn_json(spark, d):
     return table(spark, d, "events").select("event_id", F.from_json("props", "k bigint")["k"].alias("k"))
 
 
-@F.pandas_udf("double")
-def reciprocal_rank(correct: pd.Series, pos: pd.Series) -> float:
+def reciprocal_rank(correct, pos):
+    """A user-defined aggregate over a beam's items."""
+    return F.pandas_udf(_reciprocal_rank, "double")(correct, pos)
+
+
+def _reciprocal_rank(correct: pd.Series, pos: pd.Series) -> float:
     hits = pos[correct.astype(bool)]
     return 1.0 / hits.min() if len(hits) else 0.0
 

@@ -6,7 +6,6 @@ from itertools import product
 
 import pandas as pd
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from beamrank.functions import sqlshape
 from beamrank.operators import execute, generators
@@ -20,12 +19,15 @@ GOLD_OF = {g: q for g, _, q, _ in GOLD}
 OWNER = {c: t for t, names in COLUMNS.items() for c in names.split() if sum(c in n.split() for n in COLUMNS.values()) == 1}
 
 
-@F.pandas_udf(T._parse_datatype_string(sqlshape.SCHEMA))
-def sql_parts_udf(sql: pd.Series) -> pd.DataFrame:
+def sql_parts_udf(sql):
     """Clauses of each text, in Arrow batches; distinct texts only are worth parsing."""
+    return F.pandas_udf(_parts_of, sqlshape.SCHEMA)(sql)
+
+
+def _parts_of(sql: pd.Series) -> pd.DataFrame:
     empty = {"distinct": False, **{f: [] for f in sqlshape.FIELDS}, "limit": "", "setop": "", "nested": 0}
     rows = [sqlshape.parts(q) for q in sql]
-    return pd.DataFrame([{"ok": p is not None, **(p or empty)} for p in rows])
+    return pd.DataFrame([{"ok": p is not None, **{k: (p or empty)[k] for k in empty}} for p in rows])
 
 
 def _candidates(spark):
@@ -196,8 +198,12 @@ def alg_ir_versions(spark, d):
     return one.groupBy("version").agg(F.round(F.count_if("top") / len(GOLD), 6).alias("top1"), F.round(F.count_if("hit") / len(GOLD), 6).alias("coverage"))
 
 
-@F.pandas_udf("text string, reason string, n_ir int, n_sql int, decoded string")
-def ir_udf(sql: pd.Series) -> pd.DataFrame:
+def ir_udf(sql):
+    """IR, or the reason for none, lengths and the decoded query of each text."""
+    return F.pandas_udf(_ir_of, "text string, reason string, n_ir int, n_sql int, decoded string")(sql)
+
+
+def _ir_of(sql: pd.Series) -> pd.DataFrame:
     out = []
     for q in sql:
         ir, reason = sqlshape.encode(q, OWNER, FOREIGN_KEYS)
