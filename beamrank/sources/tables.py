@@ -46,11 +46,13 @@ LINE_ORDER = ["l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extende
 
 
 def line_beams(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rank = Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER)
-    return table(spark, sf_dir, "lineitem").select(
-        F.col("l_orderkey").alias("beam_id"),
-        F.row_number().over(rank).alias("pos"),
-        (F.col("l_orderkey") * 1000 + F.row_number().over(rank)).alias("item_id"),
+    # the beam is named before ranks are taken, so that later aggregates by beam reuse the exchange
+    lines = table(spark, sf_dir, "lineitem").withColumnRenamed("l_orderkey", "beam_id")
+    ranked = lines.withColumn("pos", F.row_number().over(Window.partitionBy("beam_id").orderBy(*LINE_ORDER)))
+    return ranked.select(
+        "beam_id",
+        "pos",
+        (F.col("beam_id") * 1000 + F.col("pos")).alias("item_id"),
         (F.col("l_returnflag") == "R").alias("correct"),
         (F.col("l_discount") <= 0.05).alias("verified"),
         F.col("l_quantity").alias("score"),
@@ -72,15 +74,15 @@ def words(text: Column) -> Column:
 
 def chat_beams(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Assistant turns as candidates for the first question of a conversation."""
-    turns = table(spark, sf_dir, "conversations")
-    asked = turns.where("role = 'user'").groupBy("conv_id").agg(F.min_by("text", "turn").alias("question"))
-    rank = Window.partitionBy("conv_id").orderBy("turn")
-    items = turns.where("role = 'assistant'").join(asked, "conv_id")
+    turns = table(spark, sf_dir, "conversations").withColumnRenamed("conv_id", "beam_id")
+    asked = turns.where("role = 'user'").groupBy("beam_id").agg(F.min_by("text", "turn").alias("question"))
+    rank = Window.partitionBy("beam_id").orderBy("turn")
+    items = turns.where("role = 'assistant'").join(asked, "beam_id")
     overlap = F.size(F.array_intersect(words(F.col("question")), words(F.col("text"))))
     return items.select(
-        F.col("conv_id").alias("beam_id"),
+        "beam_id",
         F.row_number().over(rank).alias("pos"),
-        (F.col("conv_id") * 1000 + F.row_number().over(rank)).alias("item_id"),
+        (F.col("beam_id") * 1000 + F.row_number().over(rank)).alias("item_id"),
         (F.size(F.split("text", " ")) >= F.size(F.split("question", " "))).alias("correct"),
         (overlap * 5 >= F.size(words(F.col("question")))).alias("verified"),
         overlap.cast("double").alias("score"),
