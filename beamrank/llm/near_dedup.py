@@ -41,7 +41,7 @@ THRESHOLD = 0.8
 BANDS, ROWS = 25, 5
 BLOCK = 1024
 #: Narrow enough for the arrays of a slice to stay small.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 
 _C = [np.uint64(0x9E3779B97F4A7C15 * (2 * i + 1) & (1 << 64) - 1) for i in range(16)]
 
@@ -214,6 +214,7 @@ def verified_links(docs: DataFrame, signed: DataFrame, links: DataFrame, words:
         h, first = np.unique(table.column("h").to_numpy(), return_index=True)
         table = table.take(pa.array(first))
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint32).reshape(len(h), bands * rows)
+        textkit.trim()
         found = _links_in_group(h, table.column("side").to_numpy(), sig, _bags(table.column("text").combine_chunks(), words), threshold)
         return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([x for _, x in found], pa.int64())})
 

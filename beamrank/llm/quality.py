@@ -26,6 +26,8 @@ from beamrank.llm.common import durable
 #: The most labelled rows that a model is fitted on, about.
 SAMPLE_ROWS = 50_000
 THRESHOLD = 0.3
+#: Narrow enough for the arrays of a slice to stay small.
+SLICE_BYTES = 2 << 20
 TREES, DEPTH, BINS, RATE, L2 = 60, 4, 64, 0.2, 1.0
 
 FEATURES = [
@@ -146,7 +148,7 @@ def statistics_table(docs: DataFrame) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part in textkit.slices(batch, "text"):
+            for part in textkit.slices(batch, "text", SLICE_BYTES):
                 x = text_statistics(part.column(1))
                 yield pa.record_batch([part.column(0), *(pa.array(x[:, k]) for k in range(x.shape[1]))], ["doc_id", *FEATURES])
 
@@ -191,7 +193,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS
 
     def run(batches):
         for batch in batches:
-            for part in textkit.slices(batch, batch.schema.names[place]):
+            for part in textkit.slices(batch, batch.schema.names[place], SLICE_BYTES):
                 yield part.filter(pa.array(forest.score(text_statistics(part.column(place))) >= threshold))
 
     return docs.mapInArrow(run, docs.schema)
