@@ -15,7 +15,7 @@ are combined before every shuffle.
 Verification. The texts of candidate components are compared within components by multiset overlap;
 only pairs that are not connected yet are looked at, and pairs whose signatures say less than
 ``threshold`` by over five standard deviations are passed over. A component of more than ``block``
-texts is first compared with its best-connected text, text by text; what that links needs no
+texts (fewer if they are long) is first compared with its best-connected text, text by text; what that links needs no
 comparison among itself, and the rest is compared in pairs of blocks with everything. No pair of
 rows is emitted but links, at most one less than a block has texts. Verified links are joined into
 classes by contraction.
@@ -40,6 +40,8 @@ WORDS = 5
 THRESHOLD = 0.8
 BANDS, ROWS = 25, 5
 BLOCK = 1024
+#: Bytes of text that a block may have, about: blocks of long texts have fewer of them.
+BLOCK_BYTES = 8 << 20
 #: Narrow enough for the arrays of a slice to stay small.
 SLICE_BYTES = 2 << 20
 
@@ -118,6 +120,11 @@ def _bags(texts: pa.Array, words: int) -> list[tuple[np.ndarray, np.ndarray]]:
     return [(value[a:b], count[a:b]) for a, b in zip(cut, cut[1:], strict=False)]
 
 
+def text_hash():
+    """What stands for a text, and all its copies, as a vertex."""
+    return F.xxhash64(F.sha2(text_or_empty(), 256))
+
+
 def signatures(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, h (hash of the text), sig (registers as bytes; null for texts without words) of every document."""
     registers = bands * rows
@@ -131,7 +138,7 @@ def signatures(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: in
                 raw = [s.tobytes() if t else None for s, t in zip(sig, there, strict=True)]
                 yield pa.record_batch([part.column(0), part.column(1), pa.array(raw, pa.binary())], ["doc_id", "h", "sig"])
 
-    keyed = docs.select("doc_id", F.xxhash64(F.sha2(text_or_empty(), 256)).alias("h"), text_or_empty().alias("text"))
+    keyed = docs.select("doc_id", text_hash().alias("h"), text_or_empty().alias("text"))
     return keyed.mapInArrow(run, "doc_id bigint, h bigint, sig binary")
 
 
@@ -177,14 +184,16 @@ def verified_links(docs: DataFrame, signed: DataFrame, links: DataFrame, words:
     # one text for each member; the least identifier stands for all copies
     firsts = signed.join(near.select("h"), "h").groupBy("h").agg(F.min(F.struct(F.col("doc_id"), F.col("sig"))).alias("first"))
     firsts = durable(firsts.select("h", F.col("first.doc_id").alias("first_id"), F.col("first.sig").alias("sig")).join(members, "h"), "firsts")
-    keyed = docs.select(F.col("doc_id").alias("d"), F.xxhash64(F.sha2(text_or_empty(), 256)).alias("hh"), text_or_empty().alias("text"))
+    keyed = docs.select(F.col("doc_id").alias("d"), text_hash().alias("hh"), text_or_empty().alias("text"))
     on = keyed["d"].eqNullSafe(F.col("first_id")) & (keyed["hh"] == F.col("h"))
     full = keyed.join(bounded_broadcast(firsts, n_members, broadcast_rows // 5), on).select("h", "root", "n", "leader", "sig", "text")
     texts = durable(full, "texts")
+    room = texts.groupBy("root").agg(F.greatest(F.lit(2), F.least(F.lit(block), F.expr(f"cast({BLOCK_BYTES} * count(1) / greatest(1, sum(octet_length(text))) as int)"))).alias("block"))
+    texts = texts.join(bounded_broadcast(room, n_members, broadcast_rows), "root")
     kind = "a bigint, b bigint"
 
-    small = texts.where(F.col("n") <= block).select("root", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(False).alias("cross"), "h", F.lit(0).alias("side"), "sig", "text")
-    large = texts.where(F.col("n") > block)
+    small = texts.where(F.col("n") <= F.col("block")).select("root", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(False).alias("cross"), "h", F.lit(0).alias("side"), "sig", "text")
+    large = texts.where(F.col("n") > F.col("block"))
     lead = large.where("h = leader").select(F.col("root").alias("r"), F.col("text").alias("lead_text")).dropDuplicates(["r"])
 
     def against(batches):
@@ -196,12 +205,12 @@ def verified_links(docs: DataFrame, signed: DataFrame, links: DataFrame, words:
                 near = [similarity(x, lead_bags[t]) >= threshold for x, t in zip(own, part.column("lead_text").to_pylist(), strict=True)]
                 yield part.drop_columns(["lead_text"]).append_column("linked", pa.array(near))
 
-    checked = large.join(lead, F.col("root") == F.col("r")).select("h", "root", "n", "leader", "sig", "text", "lead_text")
-    checked = durable(checked.mapInArrow(against, "h bigint, root bigint, n bigint, leader bigint, sig binary, text string, linked boolean"), "checked")
+    checked = large.join(lead, F.col("root") == F.col("r")).select("h", "root", "n", "leader", "block", "sig", "text", "lead_text")
+    checked = durable(checked.mapInArrow(against, "h bigint, root bigint, n bigint, leader bigint, block int, sig binary, text string, linked boolean"), "checked")
     led = checked.where("linked and h <> leader").select(F.col("leader").alias("a"), F.col("h").alias("b")).distinct()
 
     open_n = checked.where("not linked").groupBy("root").agg(F.count(F.lit(1)).alias("open"))
-    blocks = checked.join(open_n, "root").withColumn("u", F.ceil(F.col("open") / block)).withColumn("w", F.ceil((F.col("n") - F.col("open")) / block))
+    blocks = checked.join(open_n, "root").withColumn("u", F.ceil(F.col("open") / F.col("block"))).withColumn("w", F.ceil((F.col("n") - F.col("open")) / F.col("block")))
     number = lambda k: F.pmod(F.xxhash64("h"), F.greatest(F.col(k), F.lit(1))).cast("int")
     upto = lambda k: F.sequence(F.lit(0), (F.greatest(F.col(k), F.lit(1)) - 1).cast("int"))
     rest, done = blocks.where("not linked").withColumn("own", number("u")), blocks.where("linked").withColumn("own", number("w"))
@@ -222,7 +231,7 @@ def verified_links(docs: DataFrame, signed: DataFrame, links: DataFrame, words:
     return groups.groupBy("root", "i", "j", "cross").applyInArrow(in_group, kind).union(led)
 
 
-def near_classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def near_classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, broadcast_rows: int = BROADCAST_ROWS, with_hash: bool = False) -> DataFrame:
     """doc_id, class_id (least identifier of the class), class_size and kept, for every document."""
     signed = durable(signatures(docs, words, bands, rows), "signatures")
     found = durable(verified_links(docs, signed, candidate_links(signed, bands, rows), words, threshold, bands, rows, block, broadcast_rows), "links")
@@ -232,11 +241,14 @@ def near_classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHO
     by_text = signed.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("first"))
     linked = by_text.join(bounded_broadcast(roots, roots.count(), broadcast_rows), F.col("h") == F.col("v"), "left")
     several = durable(linked.where("n > 1 or root is not null").select("h", F.coalesce("root", "h").alias("root"), "n", "first"), "several")
-    sums = several.groupBy("root").agg(F.min("first").alias("class_id"), F.sum("n").alias("class_size"))
-    lookup = durable(several.select("h", "root").join(sums, "root").select("h", "class_id", "class_size"), "classes")
+    winner = F.min(F.struct(F.col("first").isNull().alias("none"), F.col("first").alias("class_id"), F.col("h").alias("keep_h")))
+    sums = several.groupBy("root").agg(winner.alias("w"), F.sum("n").alias("class_size"))
+    lookup = durable(several.select("h", "root").join(sums, "root").select("h", "w.class_id", "w.keep_h", "class_size"), "classes")
     out = signed.select("doc_id", "h").join(bounded_broadcast(lookup, lookup.count(), broadcast_rows), "h", "left")
-    out = out.select("doc_id", F.when(F.col("class_size").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("class_size", F.lit(1)).alias("class_size"))
-    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("class_id")))
+    alone = F.col("class_size").isNull()
+    out = out.withColumn("class_id", F.when(alone, F.col("doc_id")).otherwise(F.col("class_id")))
+    kept = F.col("doc_id").eqNullSafe(F.col("class_id")) & (F.coalesce("keep_h", "h") == F.col("h"))
+    return out.select("doc_id", *(["h"] if with_hash else []), "class_id", F.coalesce("class_size", F.lit(1)).alias("class_size"), kept.alias("kept"))
 
 
 def near_dedup(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS, **options) -> DataFrame:
@@ -244,10 +256,13 @@ def near_dedup(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS, **options)
 
     Only identifiers that go, and those that come more than once, are joined back.
     """
-    classes = durable(near_classes(docs, broadcast_rows=broadcast_rows, **options), "near")
-    goes = classes.groupBy("doc_id").agg(F.max("kept").alias("__kept"), F.count(F.lit(1)).alias("__n")).where("not __kept or __n > 1")
-    goes = durable(goes.withColumnRenamed("doc_id", "__id"), "goes")
+    classes = durable(near_classes(docs, broadcast_rows=broadcast_rows, with_hash=True, **options), "near")
+    goes = classes.groupBy("doc_id", "h").agg(F.max("kept").alias("__kept"), F.count(F.lit(1)).alias("__n")).where("not __kept or __n > 1")
+    goes = durable(goes.withColumnsRenamed({"doc_id": "__id", "h": "__h"}), "goes")
     goes = bounded_broadcast(goes, goes.count(), broadcast_rows)
-    on = docs["doc_id"].eqNullSafe(goes["__id"])
-    again = docs.join(goes.where("__kept"), on).withColumn("__rank", F.row_number().over(Window.partitionBy("__id").orderBy(F.lit(0))))
-    return docs.join(goes, on, "left_anti").unionByName(again.where("__rank = 1").select(*docs.columns))
+    keyed = docs.withColumn("__own", text_hash())
+    on = keyed["doc_id"].eqNullSafe(goes["__id"]) & (keyed["__own"] == goes["__h"])
+    once = keyed.join(goes, on, "left_anti").select(*docs.columns)
+    one = Window.partitionBy("__id", "__h").orderBy(F.lit(0))
+    again = keyed.join(goes.where("__kept"), on).withColumn("__rank", F.row_number().over(one))
+    return once.unionByName(again.where("__rank = 1").select(*docs.columns))
