@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from beamrank.llm import textkit
 from beamrank.llm.common import bounded_broadcast, durable
-from beamrank.llm.tokens import encoder, vocabulary
+from beamrank.llm.tokens import SLICE_BYTES, encoder, vocabulary
 
 CAPACITY = 2048
 END_ID = 0
@@ -42,7 +42,7 @@ def tokenized_pieces(docs: DataFrame, capacity: int = CAPACITY, end_id: int = EN
     def run(batches):
         code = encoder(path)
         for batch in batches:
-            for part in textkit.slices(batch, "text"):
+            for part in textkit.slices(batch, "text", SLICE_BYTES):
                 ids, bounds = code.encode(part.column(1))
                 yield _pieces(part.column(0), ids, bounds, capacity, end_id, with_ids)
 

@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from beamrank.llm import textkit
 from beamrank.llm.common import durable, scratch_path
-from beamrank.llm.tokens import encoder, vocabulary
+from beamrank.llm.tokens import SLICE_BYTES, encoder, vocabulary
 
 VOCABULARY = "word_bpe_49k.json"
 END_ID = 1
@@ -186,7 +186,7 @@ def write_tables(docs: DataFrame, folder: str, end_id: int = END_ID, vocabulary_
         code = encoder(path)
         narrow = np.dtype("<u2") if code.tokenizer.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         for batch in batches:
-            for part in textkit.slices(batch, "text"):
+            for part in textkit.slices(batch, "text", SLICE_BYTES):
                 ids, at = code.encode(part.column(1))
                 doc = part.column(0).cast(pa.int64())
                 shard = np.searchsorted(bounds, doc.fill_null(np.iinfo(np.int64).min).to_numpy(), side="right")

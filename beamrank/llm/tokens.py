@@ -16,7 +16,10 @@ import pyarrow as pa
 from beamrank.llm import textkit
 
 #: Distinct pieces a worker keeps, the first it meets; others are encoded again in each batch.
-CACHE_PIECES = 500_000
+CACHE_PIECES = 300_000
+
+#: Bytes of text encoded at once.
+SLICE_BYTES = 4 << 20
 
 #: 0 stands for bytes beside which no text is cut.
 _LETTER, _DIGIT, _SIGN, _BLANK, _QUOTE = 1, 2, 3, 4, 5
