@@ -1,13 +1,15 @@
 """Licence scans by known sentences in known orders.
 
-A text is cut into sentences; each is normalised to lower-case words and figures and looked up in a
-table of licence sentences. What is found, in order, is a sequence of identifiers, in which each
-rule looks for its own sequence. All of it is one narrow projection of SQL functions: nothing is
-shuffled, and texts without any of a few word stems, one of which every known sentence has, are
-passed over by one search.
+A text is cut into pieces at line ends and after full stops, and each is normalised to lower-case
+words and figures. A known sentence is found where it starts with a piece and ends with one, the
+same or a later one, so that hard-wrapped notices match; a full stop within breaks it. Within a
+piece, a colon, a semicolon or the end of an address may part sentences too. What is found, in
+order, is a sequence of identifiers, in which each rule looks for its own sequence. All of it is one narrow projection of
+SQL functions: nothing is shuffled, and texts without any of a few word stems, one of which every
+known sentence has, are passed over by one search.
 
 Result: a row for each document and rule that matches, with the licence, how often the rule matches
-and the index of the sentence where it first does. Edge cases: null and empty texts match nothing;
+and the index of the piece where it first does. Edge cases: null and empty texts match nothing;
 repeated rows match alike; sentences between those of a rule do not break it unless they are known
 ones; an empty table gives an empty result; extra columns are not read.
 """
@@ -66,15 +68,32 @@ RULES = [
 STEMS = ["licens", "permission", "copyright", "warrant", "redistribut"]
 
 BREAK = r"\n+|(?<=[.!?])[ \t\r\f]+"
+ADDRESS = r"(https?://[^ \t\r\f]+)[ \t\r\f]+"
+PART = r"[:;]+(?:[ \t\r\f]+|$)"
 
 
 def sentences(text: Column) -> Column:
-    """Line ends, and white space after a full stop or the like, end a sentence."""
+    """Pieces: line ends, and white space after a full stop or the like, end one."""
     return F.split(text, BREAK)
 
 
-def normalised(sentence: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(sentence), "[^a-z0-9]+", " "))
+def marked(text: Column) -> Column:
+    """Normalised words, with <i> before each part of piece i and a dot after a part that a full stop or the like ends."""
+
+    def part(x: Column, i: Column) -> Column:
+        words = F.trim(F.regexp_replace(x, "[^a-z0-9]+", " "))
+        stop = F.when(x.rlike("[.!?][^a-z0-9]*$"), ".").otherwise("")
+        return F.when(words == "", "").otherwise(F.concat(F.lit("<"), i.cast("string"), F.lit(">"), words, stop))
+
+    lines = F.transform(sentences(text), lambda s: F.regexp_replace(F.lower(s), ADDRESS, "$1; "))
+    parts = F.transform(lines, lambda s, i: F.transform(F.split(s, PART), lambda x: part(x, i)))
+    return F.array_join(F.flatten(parts), "")
+
+
+def known_sentence(table: dict[int, str]) -> str:
+    """A pattern of known sentences between marks, the longest first."""
+    texts = sorted(table.values(), key=len, reverse=True)
+    return r"<\d+>(?:" + "|".join(s.replace(" ", r"(?: |<\d+>)") for s in texts) + r")(?=[.<]|$)"
 
 
 def scan_licenses(docs: DataFrame, table: dict[int, str] | None = None, rules: list[tuple[str, str, list[int]]] | None = None) -> DataFrame:
@@ -82,7 +101,9 @@ def scan_licenses(docs: DataFrame, table: dict[int, str] | None = None, rules: l
     table, rules = table or SENTENCES, rules or RULES
     known = F.map_from_arrays(F.array(*[F.lit(s) for s in table.values()]), F.array(*[F.lit(k) for k in table]))
     likely = text_or_empty().rlike("(?i)" + "|".join(STEMS))
-    found = F.filter(F.transform(sentences(F.col("text")), lambda s, i: F.struct(i.alias("at"), F.try_element_at(known, normalised(s)).alias("id"))), lambda x: x["id"].isNotNull())
+    at = lambda x: F.regexp_extract(x, "^<([0-9]+)>", 1).cast("int")
+    words = lambda x: F.trim(F.regexp_replace(x, "<[0-9]+>", " "))
+    found = F.transform(F.regexp_extract_all(marked(F.col("text")), F.lit(known_sentence(table)), F.lit(0)), lambda x: F.struct(at(x).alias("at"), F.element_at(known, words(x)).alias("id")))
     seen = docs.where(likely).select("doc_id", found.alias("found")).where(F.size("found") > 0)
     seen = seen.withColumn("sequence", F.array_join(F.transform("found", lambda x: F.concat(F.lit("<"), x["id"].cast("string"), F.lit(">"))), ""))
     pattern = lambda ids: "".join(f"<{i}>" for i in ids)

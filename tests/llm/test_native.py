@@ -111,6 +111,95 @@ def test_licenses(spark):
     assert all(any(stem in s for stem in STEMS) for s in SENTENCES.values())
 
 
+MIT = """Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY.
+"""
+APACHE = """Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License.
+"""
+GPL = """This program is free software: you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation, either version 3 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details.
+"""
+BSD = """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+"""
+ISC = """Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.
+"""
+
+
+@pytest.mark.parametrize(
+    "form",
+    [
+        lambda t: t,
+        lambda t: t.replace("\n", "\r\n"),
+        lambda t: " ".join(t.split()),
+        lambda t: "/*\n" + "".join(f" * {line}\n" for line in t.splitlines()) + " */",
+        lambda t: "\n".join(t.split()),
+    ],
+    ids=["wrapped", "crlf", "one line", "comment", "a word a line"],
+)
+def test_licenses_in_their_usual_forms(spark, form):
+    texts = [MIT, APACHE, GPL, BSD, ISC, BSD.split("3. ")[0], MIT + "\n" + MIT]
+    docs = spark.createDataFrame([(i, form(t)) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    got = sorted((r["doc_id"], r["rule"], r["matches"]) for r in scan_licenses(docs).collect())
+    assert got == [(0, "mit-text", 1), (1, "apache-header", 1), (2, "gpl-3-header", 1), (3, "bsd-2-text", 1), (3, "bsd-3-text", 1), (4, "isc-text", 1), (5, "bsd-2-text", 1), (6, "mit-text", 2)]
+
+
+def test_licenses_start_and_end_with_sentences(spark):
+    rows = [
+        (1, "First words here.\nAnother. Licensed under\nthe MIT License.\n"),
+        (2, "Not licensed under\nthe MIT License."),
+        (3, "Licensed under\nthe MIT License or another."),
+        (4, "Licensed. Under\nthe MIT License."),
+        (5, "Licensed under the Apache License, Version 2.0\n(the \"License\");"),
+        (6, "It is ours; licensed under the MIT license: see below."),
+    ]
+    got = sorted(map(tuple, scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()))
+    assert got == [(1, "MIT", "mit-notice-2", 1, 2), (6, "MIT", "mit-notice-2", 1, 0)]
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(1, 40)] + [(100, 200), (150, 200), (7, 7), (300, 1)]
     got = connected_components(spark.createDataFrame([(v,) for v in [*range(1, 42), 100, 150, 200, 300]], "v bigint"), spark.createDataFrame(edges, "a bigint, b bigint"))
