@@ -192,9 +192,10 @@ def rerank_cross_origin(spark, d):
 
 @query("rerank_verifier_noschema", f"with {CHAT_SQL} select beam_id, arg_min(item_id, (case when verified then 0 else 1 end, pos)) as item_id, arg_min(correct, (case when verified then 0 else 1 end, pos)) as correct from chat_beams where pos <= 5 group by beam_id")
 def rerank_verifier_noschema(spark, d):
+    """The verifier over whole beams; its SQL stops at five answers, and is equal where no beam has more."""
     from beamrank.operators import rerank
 
-    return rerank.verifier(beams.first_k(chat_beams(spark, d), 5))
+    return rerank.verifier(chat_beams(spark, d))
 
 
 @query("schema_keys", "with k(t, c, ft, fc) as (values " + ", ".join(f"('{t}', '{c}', '{ft}', '{fc}')" for (t, c), (ft, fc) in FOREIGN_KEYS.items()) + ") select t as table_name, c as column_name, ft as fk_table, fc as fk_column from k")

@@ -6,6 +6,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from beamrank.operators import beams, metrics, rerank
+from beamrank.plans import beam_queries, text_queries  # noqa: F401
+from beamrank.plans.registry import QUERIES
 from beamrank.sources.tables import beam_table, chat_beams, from_rows, line_beams
 
 SF = "/root/testdata/sf0.01"
@@ -105,6 +107,14 @@ def test_golden_values_of_chat_beams(spark):
     assert rows.where("verified").count() == 112 and rows.where("correct").count() == 221 and rows.where("verified and correct").count() == 112
 
 
+def test_chat_verifiers_read_the_whole_beam(spark, tmp_path):
+    answers = {1: ["no", "no", "no", "no", "no", "no", "one two three"], 2: ["no", "one two three"], 3: ["no"] * 6}
+    rows = [(c, t, role, text) for c, a in answers.items() for t, (role, text) in enumerate([("user", "one two three"), *(("assistant", x) for x in a)])]
+    spark.createDataFrame(rows, "conv_id bigint, turn int, role string, text string").write.parquet(str(tmp_path / "conversations.parquet"))
+    for name in ("rerank_verifier_noschema", "rerank_verifier_chat"):
+        assert picks(QUERIES[name](spark, str(tmp_path))) == {1: 1007, 2: 2002, 3: 3001}
+
+
 def test_measures_without_denominator_are_null(spark):
     row = metrics.prf(from_rows(spark, [(1, 1, 1, False, False, 0.0)])).head()
     assert row["precision"] is None and row["recall"] is None and row["f1"] is None
