@@ -41,6 +41,11 @@ def ensure_gold(df: DataFrame, k: int = 5, mode: str = "replace_last") -> DataFr
     return moved.withColumn("is_gold", gold).drop("pos", "gold_pos").withColumnRenamed("new_pos", "pos")
 
 
+def with_gold_first(df: DataFrame, k: int) -> DataFrame:
+    """The first ``k`` items of each beam, its gold item in first place if not among them, and labelled correct."""
+    return ensure_gold(with_gold(df), k, "front").withColumn("correct", F.col("correct") | F.col("is_gold"))
+
+
 def coin(*parts: Column) -> Column:
     """A number in [0, 1) by hash of its parts; the same in any engine with MD5."""
     return F.conv(F.substring(F.md5(F.concat_ws("|", *parts)), 1, 8), 16, 10).cast("double") / float(1 << 32)

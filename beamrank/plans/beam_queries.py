@@ -266,6 +266,22 @@ def selector_geometric_train(spark, d):
     return rows.select("beam_id", F.col("new_pos").alias("pos"), "item_id")
 
 
+def _gold_train(spark, d):
+    return beams.with_gold_first(line_beams(spark, d), 5).where("beam_id % 5 < 4")
+
+
+@query("selector_random_train_gold")
+def selector_random_train_gold(spark, d):
+    """As selector_random_train, with the gold item put in where it is not among the first five."""
+    return beams.reorder_random(_gold_train(spark, d)).select("beam_id", F.col("new_pos").alias("pos"), "item_id", "correct", "is_gold")
+
+
+@query("selector_geometric_train_gold")
+def selector_geometric_train_gold(spark, d):
+    """As selector_geometric_train, with the gold item put in where it is not among the first five."""
+    return beams.reorder_geometric(_gold_train(spark, d)).select("beam_id", F.col("new_pos").alias("pos"), "item_id", "correct", "is_gold")
+
+
 @query("selector_order_match", f"""{LINE}, f as (select beam_id % 5 < 4 as train, beam_id, min(pos) filter (correct) as p from line_beams where pos <= 5 group by all),
 s as (select coalesce(p, 0) as p, count(*) filter (train) / (select count(*) from f where train) as a, count(*) filter (not train) / (select count(*) from f where not train) as b from f group by 1)
 select round(sum(abs(a - b)) / 2, 6) as distance from s""")

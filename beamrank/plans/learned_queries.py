@@ -32,21 +32,27 @@ def verifier_learned_prf(spark, d):
     return metrics.prf(rows, "held_out")
 
 
+def _scaled(rows):
+    return rows.select("beam_id", "pos", "item_id", "correct", (F.col("score") / 50).alias("score"), (F.col("price") / 100_000).alias("price_s"))
+
+
 def _items(spark, d, k):
     rows = beams.first_k(beams.with_gold(line_beams(spark, d)), k)
-    rows = rows.withColumn("correct", F.col("correct") | (F.col("pos") == F.col("gold_pos")))
-    return rows.select("beam_id", "pos", "item_id", "correct", (F.col("score") / 50).alias("score"), (F.col("price") / 100_000).alias("price_s"))
+    return _scaled(rows.withColumn("correct", F.col("correct") | (F.col("pos") == F.col("gold_pos"))))
+
+
+def _training_items(spark, d, k):
+    return _scaled(beams.with_gold_first(line_beams(spark, d), k).where("beam_id % 5 < 4"))
 
 
 def _select(spark, d, k: int, order: str, origin: int | None = None):
     """Accuracy on held-out beams of a selector trained on reordered ones."""
-    rows = _items(spark, d, k)
-    train = rows.where("beam_id % 5 < 4")
+    train = _training_items(spark, d, k)
     if origin is not None:
         train = train.where(F.col("beam_id") % 2 == origin)
     moved = beams.reorder_random(train) if order == "random" else beams.reorder_geometric(train, k)
     model = learned.item_model(moved.withColumn("rank_s", F.col("new_pos") / k), FEATURES)
-    return learned.select_by_model(model, rows.where("beam_id % 5 = 4").withColumn("rank_s", F.col("pos") / k))
+    return learned.select_by_model(model, _items(spark, d, k).where("beam_id % 5 = 4").withColumn("rank_s", F.col("pos") / k))
 
 
 @query("selector5")

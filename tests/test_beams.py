@@ -5,8 +5,8 @@ from collections import defaultdict
 import pytest
 from pyspark.sql import functions as F
 
-from beamrank.operators import beams, metrics, rerank
-from beamrank.plans import beam_queries, text_queries  # noqa: F401
+from beamrank.operators import beams, learned, metrics, rerank
+from beamrank.plans import beam_queries, learned_queries, text_queries  # noqa: F401
 from beamrank.plans.registry import QUERIES
 from beamrank.sources.tables import beam_table, chat_beams, from_rows, line_beams
 
@@ -107,6 +107,49 @@ def test_golden_values_of_chat_beams(spark):
     assert rows.where("verified").count() == 112 and rows.where("correct").count() == 221 and rows.where("verified and correct").count() == 112
 
 
+@pytest.mark.parametrize("name, sizes", [("selector5", [5]), ("selector2", [2]), ("selector_grid", [5, 5, 2, 2] * 2)])
+def test_selectors_train_with_the_gold_item(spark, monkeypatch, name, sizes):
+    trained = []
+
+    def fit(train, features, label="correct"):
+        trained.append(train.select("beam_id", "item_id", "new_pos", "correct").collect())
+        return None
+
+    monkeypatch.setattr(learned, "item_model", fit)
+    monkeypatch.setattr(learned, "select_by_model", lambda model, df: df)
+    QUERIES[name](spark, "/root/testdata/sf0.001")
+    lines = defaultdict(list)
+    for r in line_beams(spark, "/root/testdata/sf0.001").where("beam_id % 5 < 4").orderBy("pos").collect():
+        lines[r["beam_id"]].append(r)
+    assert len(trained) == len(sizes)
+    for i, (rows, k) in enumerate(zip(trained, sizes)):
+        got = defaultdict(dict)
+        for r in rows:
+            got[r["beam_id"]][r["item_id"]] = r["correct"]
+        want = {}
+        for b, items in lines.items():
+            gold = max(items, key=lambda r: (r["price"], -r["pos"]))
+            kept = items[:k] if gold in items[:k] else [gold, *items[: k - 1]]
+            if len(sizes) == 1 or b % 2 == i % 2:
+                want[b] = {r["item_id"]: r["correct"] or r is gold for r in kept}
+        assert got == want and all(any(x.values()) for x in got.values())
+
+
+@pytest.mark.parametrize("order", ["random", "geometric"])
+def test_training_orders_hold_the_gold_item(spark, order):
+    d = "/root/testdata/sf0.001"
+    got = defaultdict(list)
+    for r in QUERIES[f"selector_{order}_train_gold"](spark, d).collect():
+        got[r["beam_id"]].append(r)
+    front = defaultdict(dict)
+    for r in QUERIES["gold_front5"](spark, d).where("beam_id % 5 < 4").collect():
+        front[r["beam_id"]][r["item_id"]] = r["is_gold"]
+    assert {b: {r["item_id"]: r["is_gold"] for r in rows} for b, rows in got.items()} == front
+    for rows in got.values():
+        assert sorted(r["pos"] for r in rows) == list(range(1, len(rows) + 1))
+        assert [r["correct"] for r in rows if r["is_gold"]] == [True]
+
+
 def test_chat_verifiers_read_the_whole_beam(spark, tmp_path):
     answers = {1: ["no", "no", "no", "no", "no", "no", "one two three"], 2: ["no", "one two three"], 3: ["no"] * 6}
     rows = [(c, t, role, text) for c, a in answers.items() for t, (role, text) in enumerate([("user", "one two three"), *(("assistant", x) for x in a)])]
