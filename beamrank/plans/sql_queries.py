@@ -232,7 +232,8 @@ def ir_compactness(spark, d):
 def synth_executable(spark, d):
     """Distinct generated queries that run; each distinct text is analysed once."""
     from beamrank.operators import synth
+    from beamrank.plans.text_queries import N_PAIRS
 
     execute.register(spark, d)
-    texts = [r["sql"] for r in synth.generate(spark, d, 500).select("sql").distinct().collect()]
+    texts = [r["sql"] for r in synth.generate(spark, d, N_PAIRS).select("sql").distinct().collect()]
     return spark.createDataFrame([(q, execute.analysed(spark, q) is not None) for q in sorted(texts)], "sql string, runs boolean")

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from beamrank.functions import sqlshape, tokens
 from beamrank.operators import execute, generators
+from beamrank.plans import text_queries  # noqa: F401
+from beamrank.plans.registry import QUERIES
 from beamrank.plans.sql_queries import FOREIGN_KEYS, OWNER
 from beamrank.sources.catalogue import GOLD
 
@@ -88,3 +90,9 @@ def test_boundaries_are_kept(spark):
     df = spark.createDataFrame([("pet_age",)], "t string")
     row = df.select(tokens.split_ident(F.col("t")).alias("own"), tokens.naive_pieces(F.col("t"), 2).alias("naive")).head()
     assert row["own"] == ["pet", "_", "age"] and row["naive"] == ["pe", "t_", "ag", "e"]
+
+
+def test_every_generated_query_is_tested(spark):
+    d = "/root/testdata/sf0.01"
+    tested = {r["sql"] for r in QUERIES["synth_executable"](spark, d).collect()}
+    assert tested == {r["sql"] for r in QUERIES["synth_pairs"](spark, d).select("sql").distinct().collect()}
