@@ -74,9 +74,12 @@ def ceiling(df: DataFrame) -> DataFrame:
     return _chosen(df, F.when(F.col("correct"), 0).otherwise(_BIG) + F.col("pos"))
 
 
+def random_key(seed: int = 42) -> Column:
+    return F.conv(F.substring(F.md5(F.concat_ws(":", "beam_id", "pos", F.lit(seed))), 1, 12), 16, 10).cast("bigint") * 1024 + F.col("pos")
+
+
 def random(df: DataFrame, seed: int = 42) -> DataFrame:
-    draw = F.conv(F.substring(F.md5(F.concat_ws(":", "beam_id", "pos", F.lit(seed))), 1, 12), 16, 10).cast("bigint")
-    return _chosen(df, draw * 1024 + F.col("pos"))
+    return _chosen(df, random_key(seed))
 
 
 def linking(df: DataFrame, score: str = "score") -> DataFrame:

@@ -206,7 +206,18 @@ MATRIX = {"top1": "pos", "verifier": VERIFIED, "selector": "(case when pos <= 5
 @query("rerank_matrix", SYSTEMS_SQL.replace("select beam_id, pos, '", "select beam_id, pos, verified, score, '") + " " + " union all ".join(
     f"select system, '{name}' as reranker, round(avg(c::int), 6) as accuracy from (select system, beam_id, arg_min(correct, {key}) as c from systems group by system, beam_id) group by system" for name, key in MATRIX.items()))
 def rerank_matrix(spark, d):
-    """All rerankers on all systems in one plan over packed keys, grouped by system and beam once."""
+    """The rerankers of MATRIX on all systems; rerank_matrix_all has all of them."""
+    return _matrix(spark, d, list(MATRIX))
+
+
+@query("rerank_matrix_all")
+def rerank_matrix_all(spark, d):
+    """All rerankers on all systems, by the one label that line beams have."""
+    return _matrix(spark, d, list(rerank.RERANKERS))
+
+
+def _matrix(spark, d, names: list[str]):
+    """Accuracies in one plan over packed keys, grouped by system and beam once."""
     rows = line_beams(spark, d)
     each = F.array(*[F.struct(F.lit(s).alias("system"), F.expr(rule).alias("ok")) for s, rule in SYSTEM_RULES.items()])
     long = rows.select("beam_id", "pos", "verified", "score", F.explode(each).alias("s")).select("beam_id", "pos", "verified", "score", "s.system", F.col("s.ok").alias("correct"))
@@ -216,10 +227,15 @@ def rerank_matrix(spark, d):
         "verifier": F.when(F.col("verified"), 0).otherwise(1 << 32) + pos,
         "selector": F.when(F.col("pos") <= 5, (1000 - F.col("score")).cast("bigint") * 1024).otherwise(1 << 40) + pos,
         "ceiling": F.when(F.col("correct"), 0).otherwise(1 << 32) + pos,
+        "random": rerank.random_key(),
     }
-    picks = long.groupBy("system", "beam_id").agg(*[F.min_by("correct", k).alias(name) for name, k in keys.items()])
-    sums = picks.groupBy("system").agg(*[F.round(F.avg(F.col(k).cast("int")), 6).alias(k) for k in keys])
-    return sums.select("system", F.explode(F.map_from_arrays(F.array(*[F.lit(k) for k in keys]), F.array(*keys))).alias("reranker", "accuracy"))
+    picks = {name: F.min_by("correct", k) for name, k in keys.items()}
+    first, second = F.when(pos == 1, pos), F.when((pos > 1) & F.col("verified"), pos)
+    takes = F.coalesce(F.min_by("score", second) > F.min_by("score", first), F.lit(False))
+    picks["hybrid"] = F.when(takes, F.min_by("correct", second)).otherwise(F.min_by("correct", first))
+    chosen = long.groupBy("system", "beam_id").agg(*[picks[name].alias(name) for name in names])
+    sums = chosen.groupBy("system").agg(*[F.round(F.avg(F.col(k).cast("int")), 6).alias(k) for k in names])
+    return sums.select("system", F.explode(F.map_from_arrays(F.array(*[F.lit(k) for k in names]), F.array(*names))).alias("reranker", "accuracy"))
 
 
 PRF = """count(*) filter (verified and correct) as tp, count(*) filter (verified and not correct) as fp, count(*) filter (not verified and correct) as fn, count(*) filter (not verified and not correct) as tn"""

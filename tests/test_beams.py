@@ -150,6 +150,21 @@ def test_training_orders_hold_the_gold_item(spark, order):
         assert [r["correct"] for r in rows if r["is_gold"]] == [True]
 
 
+def test_matrix_has_every_reranker_on_every_system(spark):
+    d = "/root/testdata/sf0.001"
+    got = {(r["system"], r["reranker"]): r["accuracy"] for r in QUERIES["rerank_matrix_all"](spark, d).collect()}
+    rows = line_beams(spark, d).cache()
+    want = {}
+    for system, rule in beam_queries.SYSTEM_RULES.items():
+        own = rows.withColumn("correct", F.expr(rule))
+        for name, f in rerank.RERANKERS.items():
+            want[system, name] = f(own).agg(F.round(F.avg(F.col("correct").cast("int")), 6)).head()[0]
+    rows.unpersist()
+    assert got == pytest.approx(want)
+    few = {(r["system"], r["reranker"]): r["accuracy"] for r in QUERIES["rerank_matrix"](spark, d).collect()}
+    assert few == {k: v for k, v in got.items() if k[1] in beam_queries.MATRIX}
+
+
 def test_chat_verifiers_read_the_whole_beam(spark, tmp_path):
     answers = {1: ["no", "no", "no", "no", "no", "no", "one two three"], 2: ["no", "one two three"], 3: ["no"] * 6}
     rows = [(c, t, role, text) for c, a in answers.items() for t, (role, text) in enumerate([("user", "one two three"), *(("assistant", x) for x in a)])]
