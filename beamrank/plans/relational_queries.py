@@ -6,7 +6,9 @@ import pandas as pd
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from beamrank.operators import generators
 from beamrank.plans.registry import query
+from beamrank.sources.catalogue import GOLD
 from beamrank.sources.io import csv_round_trip, json_round_trip
 from beamrank.sources.tables import LINE_SQL, line_beams, table
 
@@ -251,6 +253,15 @@ def candidate_edit_distance(spark, d):
     return c.where("b is not null").select("k", F.levenshtein("a", "b").alias("distance"))
 
 
+@query("candidate_sql_edit_distance")
+def candidate_sql_edit_distance(spark, d):
+    """Distance of every candidate query of the catalogue from its gold query."""
+    gold = {gold_id: sql for gold_id, _, sql, _ in GOLD}
+    rows = [(gold_id, kind, sql, gold[gold_id]) for gold_id, kind, sql in generators.candidates()]
+    c = spark.createDataFrame(rows, "gold_id string, kind string, sql string, gold string")
+    return c.select("gold_id", "kind", F.levenshtein("sql", "gold").alias("distance"))
+
+
 @query("fn_date", "select o_orderkey, date_trunc('month', o_orderdate)::timestamp as month, datediff('day', timestamp '1992-01-01', date_trunc('day', o_orderdate))::int as days, year(o_orderdate)::int as y, quarter(o_orderdate)::int as q from orders")
 def fn_date(spark, d):
     o = table(spark, d, "orders")

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from beamrank.functions import sqlshape, tokens
 from beamrank.operators import execute, generators
-from beamrank.plans import text_queries  # noqa: F401
+from beamrank.plans import relational_queries, text_queries  # noqa: F401
 from beamrank.plans.registry import QUERIES
 from beamrank.plans.sql_queries import FOREIGN_KEYS, OWNER
 from beamrank.sources.catalogue import GOLD
@@ -96,3 +96,17 @@ def test_every_generated_query_is_tested(spark):
     d = "/root/testdata/sf0.01"
     tested = {r["sql"] for r in QUERIES["synth_executable"](spark, d).collect()}
     assert tested == {r["sql"] for r in QUERIES["synth_pairs"](spark, d).select("sql").distinct().collect()}
+
+
+def test_distances_of_candidates_from_their_gold_queries(spark):
+    def distance(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        return row[-1]
+
+    gold = {g: q for g, _, q, _ in GOLD}
+    got = sorted(map(tuple, QUERIES["candidate_sql_edit_distance"](spark, SF).collect()))
+    assert got == sorted((g, k, distance(q, gold[g])) for g, k, q in generators.candidates())
