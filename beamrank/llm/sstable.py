@@ -4,9 +4,9 @@ File format, little-endian, in this order:
 
 * blocks: entries in ascending key order. An entry is: length of the prefix it shares with the key
   before (1 byte), length of the rest (1 byte), the rest, length of the value (4 bytes), the value.
-  A block begins with a whole key. A block is compressed as one zlib stream.
-* index: for each block its first key (1 byte of length, then the key), offset (8), stored size (4),
-  entries (4) and ids in it (8).
+  A block begins with a whole key. A block is compressed as one zstd frame.
+* index: for each block its first key (1 byte of length, then the key), offset (8), stored size (8),
+  plain size (8), entries (4) and ids in it (8).
 * Bloom filter: bits of all keys.
 * footer of fixed size: offset and size of the index, offset and bits of the filter, number of
   hashes, bytes of an id (2 or 4), entries, ids, and the magic number.
@@ -14,9 +14,12 @@ File format, little-endian, in this order:
 A key is a mark (0: null identifier, 1: other) and, for the latter, the identifier plus 2^63 as 8
 bytes, most significant first: keys sort as identifiers do, null first. A value is the ids with the end id.
 
-Documents are dealt to shards by quantiles of their identifiers; each task sorts and streams its
-shards into files in the shared folder, under a name of its own attempt, and reports what it wrote.
-Only reported files are read, so tasks that are lost or run twice leave no trace in the result.
+Documents are dealt to tasks by ranges of their identifiers, from Spark's own bounded sample; rows of
+one identifier are told apart by their place, so that one that very many rows share is spread too.
+Each task sorts its range, encodes it and streams one file into the shared folder, under a name of its
+own attempt, and reports what it wrote, with the first and last key. Only reported files are read, so
+tasks that are lost or run twice leave no trace in the result. Shards stand for ``SHARD_BYTES`` of text;
+beyond ``MAX_SHARDS`` of them they grow instead, as lists of files are kept by the driver.
 
 Edge cases. A null text is empty and holds the end id alone. Repeated identifiers are separate
 entries with equal keys, in any order. An empty table makes no file and an empty result. Extra
@@ -30,10 +33,13 @@ import struct
 import uuid
 import zlib
 from collections.abc import Iterator
+from functools import reduce
+from operator import or_
 
 import numpy as np
 import pyarrow as pa
 from pyarrow import fs
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -48,7 +54,10 @@ BLOOM_BITS = 10
 BLOOM_HASHES = 7
 #: Bytes of text that a shard should stand for.
 SHARD_BYTES = 64 << 20
+#: The most files of a table.
+MAX_SHARDS = 20_000
 MAGIC = b"BRSSTAB1"
+_BLOCK = struct.Struct("<QQQIQ")
 _FOOTER = struct.Struct("<QQQQIIQQ8s")
 
 
@@ -77,23 +86,24 @@ class TableWriter:
     def _begin(self) -> None:
         self.block, self.last, self.first, self.n, self.n_ids = bytearray(), b"", None, 0, 0
 
-    def add(self, key: bytes, ids: np.ndarray) -> None:
-        shared = 0
-        while shared < min(len(key), len(self.last)) and key[shared] == self.last[shared]:
+    def add(self, key: bytes, value: bytes) -> None:
+        """An entry; ``value`` holds ids of ``id_bytes`` each."""
+        shared, both = 0, min(len(key), len(self.last))
+        while shared < both and key[shared] == self.last[shared]:
             shared += 1
-        value = ids.astype(f"<u{self.id_bytes}").tobytes()
-        self.block += struct.pack("<BB", shared, len(key) - shared) + key[shared:] + struct.pack("<I", len(value)) + value
+        self.block += struct.pack("<BB", shared, len(key) - shared) + key[shared:] + struct.pack("<I", len(value))
+        self.block += value
         self.first, self.last = self.first or key, key
-        self.n, self.n_ids = self.n + 1, self.n_ids + len(ids)
+        self.n, self.n_ids = self.n + 1, self.n_ids + len(value) // self.id_bytes
         self.keys.append(key)
         if len(self.block) >= self.block_bytes:
             self._flush()
 
     def _flush(self) -> None:
         if self.n:
-            data = zlib.compress(bytes(self.block), 1)
+            data = pa.compress(self.block, codec="zstd", asbytes=True)
             self.out.write(data)
-            self.index.append(bytes([len(self.first)]) + self.first + struct.pack("<QIIQ", self.place, len(data), self.n, self.n_ids))
+            self.index.append(bytes([len(self.first)]) + self.first + _BLOCK.pack(self.place, len(data), len(self.block), self.n, self.n_ids))
             self.place += len(data)
             self.entries, self.ids = self.entries + self.n, self.ids + self.n_ids
         self._begin()
@@ -125,15 +135,15 @@ class TableReader:
         while i < len(index):
             n = index[i]
             self.firsts.append(index[i + 1 : i + 1 + n])
-            self.blocks.append(struct.unpack_from("<QIIQ", index, i + 1 + n))
-            i += 1 + n + 24
+            self.blocks.append(_BLOCK.unpack_from(index, i + 1 + n))
+            i += 1 + n + _BLOCK.size
         source.seek(bloom_at)
         self.bloom = np.unpackbits(np.frombuffer(source.read((self.bits + 7) // 8), np.uint8))
 
     def _entries(self, block: int) -> Iterator[tuple[bytes, np.ndarray]]:
-        at, size, n, _ = self.blocks[block]
+        at, size, plain, n, _ = self.blocks[block]
         self.source.seek(at)
-        data, i, key = zlib.decompress(self.source.read(size)), 0, b""
+        data, i, key = pa.decompress(self.source.read(size), plain, codec="zstd", asbytes=True), 0, b""
         for _ in range(n):
             shared, rest = data[i], data[i + 1]
             key = key[:shared] + data[i + 2 : i + 2 + rest]
@@ -164,65 +174,43 @@ def open_table(path: str) -> TableReader:
     return TableReader(store.open_input_file(place))
 
 
-def _bounds(docs: DataFrame, shard_bytes: int) -> list[int]:
-    """Identifiers at which shards begin: quantiles, as many as the bytes of text ask for."""
-    spark = docs.sparkSession
+def _shards(docs: DataFrame, shard_bytes: int) -> int:
+    """How many files the bytes of text ask for."""
     n, size = docs.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).head()
-    least = min(int(spark.conf.get("spark.sql.shuffle.partitions")), n // 500)
-    shards = max(1, least, -(-int(size) // shard_bytes))
-    if shards == 1:
-        return []
-    # one aggregate over identifiers alone; its accuracy follows the number of shards
-    cuts = docs.agg(F.percentile_approx("doc_id", [i / shards for i in range(1, shards)], 20 * shards)).head()[0]
-    return sorted(set(cuts or []))
+    least = min(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), n // 500)
+    return min(MAX_SHARDS, max(1, least, -(-int(size) // shard_bytes)))
 
 
 def write_tables(docs: DataFrame, folder: str, end_id: int = END_ID, vocabulary_path: str | None = None, shard_bytes: int = SHARD_BYTES) -> DataFrame:
-    """Encode and write all documents. Returns the files: shard, path, entries, ids (a stored table)."""
+    """Encode and write all documents. Returns the files in order of their keys: shard, path, entries, ids, first, last (a stored table)."""
     path = vocabulary_path or vocabulary(VOCABULARY)
-    bounds = np.array(_bounds(docs, shard_bytes), np.int64)
 
-    def encode(batches):
-        code = encoder(path)
+    def write(batches):
+        code, writer = encoder(path), None
         narrow = np.dtype("<u2") if code.tokenizer.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
+        shard = TaskContext.get().partitionId()
+        name = f"shard-{shard:06d}-{uuid.uuid4().hex[:12]}.sst"
+        store, place = fs.FileSystem.from_uri(folder)
         for batch in batches:
             for part in textkit.slices(batch, "text", SLICE_BYTES):
                 ids, at = code.encode(part.column(1))
-                doc = part.column(0).cast(pa.int64())
-                shard = np.searchsorted(bounds, doc.fill_null(np.iinfo(np.int64).min).to_numpy(), side="right")
-                values = [np.append(ids[a:b], np.uint32(end_id)).astype(narrow).tobytes() for a, b in zip(at, at[1:], strict=False)]
-                yield pa.record_batch(
-                    [pa.array(shard, pa.int32()), doc, pa.array([narrow.itemsize] * len(doc), pa.int32()), pa.array(values, pa.binary())],
-                    ["shard", "doc_id", "id_bytes", "ids"],
-                )
-
-    def write(batches):
-        store, place = fs.FileSystem.from_uri(folder)
-        now, writer, name = None, None, ""
-
-        def finish():
-            writer.close()
-            return pa.record_batch([[now], [f"{folder}/{name}"], [writer.entries], [writer.ids]], schema=_manifest)
-
-        for batch in batches:
-            for shard, doc, width, ids in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if shard != now:
-                    if writer:
-                        yield finish()
-                    now, name = shard, f"shard-{shard:06d}-{uuid.uuid4().hex[:12]}.sst"
-                    writer = TableWriter(store.open_output_stream(f"{place}/{name}"), width)
-                writer.add(key_of(doc), np.frombuffer(ids, f"<u{width}"))
+                values = memoryview(np.insert(ids, at[1:], end_id).astype(narrow)).cast("B")
+                edges = ((at + np.arange(len(at))) * narrow.itemsize).tolist()
+                writer = writer or TableWriter(store.open_output_stream(f"{place}/{name}"), narrow.itemsize)
+                for doc, a, b in zip(part.column(0).to_pylist(), edges, edges[1:], strict=False):
+                    writer.add(key_of(doc), values[a:b])
         if writer:
-            yield finish()
+            writer.close()
+            yield pa.record_batch([[shard], [f"{folder}/{name}"], [writer.entries], [writer.ids], [writer.keys[0]], [writer.keys[-1]]], schema=_manifest)
 
     store, place = fs.FileSystem.from_uri(folder)
     store.create_dir(place, recursive=True)
-    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(encode, "shard int, doc_id bigint, id_bytes int, ids binary")
-    dealt = rows.repartition(len(bounds) + 1, "shard").sortWithinPartitions("shard", "doc_id")
-    return durable(dealt.mapInArrow(write, "shard int, path string, entries bigint, ids bigint"), "files")
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text", F.monotonically_increasing_id().alias("row_no"))
+    dealt = rows.repartitionByRange(_shards(docs, shard_bytes), "doc_id", "row_no").sortWithinPartitions("doc_id")
+    return durable(dealt.select("doc_id", "text").mapInArrow(write, "shard int, path string, entries bigint, ids bigint, first binary, last binary"), "files")
 
 
-_manifest = pa.schema([("shard", pa.int32()), ("path", pa.string()), ("entries", pa.int64()), ("ids", pa.int64())])
+_manifest = pa.schema([("shard", pa.int32()), ("path", pa.string()), ("entries", pa.int64()), ("ids", pa.int64()), ("first", pa.binary()), ("last", pa.binary())])
 
 
 def read_tables(files: DataFrame) -> DataFrame:
@@ -264,12 +252,16 @@ def _batch(docs, starts, sizes, values, kind) -> pa.RecordBatch:
 
 
 def lookup(files: DataFrame, doc_ids: list[int]) -> dict[int, list[list[int]]]:
-    """Ids of a few documents, by the filters and indexes of the files. The number of files is bounded by the shard size."""
+    """Ids of a few documents: only files whose keys enclose one of them are opened, then their filters and indexes."""
     found: dict[int, list[list[int]]] = {}
-    for row in files.select("path").toLocalIterator():
+    keys = {doc: key_of(doc) for doc in doc_ids}
+    if not keys:
+        return found
+    enclosed = reduce(or_, [(F.col("first") <= F.lit(k)) & (F.col("last") >= F.lit(k)) for k in keys.values()])
+    for row in files.where(enclosed).select("path", "first", "last").toLocalIterator():
         table = open_table(row["path"])
-        for doc in doc_ids:
-            if hits := table.get(doc):
+        for doc, key in keys.items():
+            if row["first"] <= key <= row["last"] and (hits := table.get(doc)):
                 found.setdefault(doc, []).extend(ids.tolist() for ids in hits)
     return found
 

@@ -39,9 +39,20 @@ def test_pieces_equal_whole_texts(texts):
             assert ids[at[i] : at[i + 1]].tolist() == _coder(name).tokenizer.encode(t or "", add_special_tokens=False).ids
 
 
+@settings(max_examples=200, deadline=None)
+@given(st.lists(st.lists(st.sampled_from(["<|endoftext|>", "<|startoftext|>", "<|EndOfText|>", "<|", " ", "\n", "\t", "  ", "\u00a0", "\u3000", "\u2003", "é", "ñandú", "中文", "😀", "don't", "Word", "12", "!?", "'s", "\u0301", "×"]), max_size=14).map("".join), max_size=4))
+def test_short_windows_and_special_tokens(texts):
+    import pyarrow as pa
+
+    for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
+        ids, at = _coder(name, 9).encode(pa.array(texts, pa.string()))
+        for i, t in enumerate(texts):
+            assert ids[at[i] : at[i + 1]].tolist() == _coder(name).tokenizer.encode(t, add_special_tokens=False).ids
+
+
 @cache
-def _coder(name):
-    return PieceEncoder(vocabulary(name), cache_pieces=20)
+def _coder(name, window=4 << 20):
+    return PieceEncoder(vocabulary(name), cache_pieces=20, window=window)
 
 
 def best_fit_by_items(lengths, capacity):
