@@ -22,33 +22,41 @@ def split_camel(col: Column) -> Column:
     return F.regexp_replace(col, "([a-z0-9])([A-Z])", "$1 $2")
 
 
+def _outside(col: Column, change) -> Column:
+    """``change`` applied to the parts of a text outside quotes; linear in the text."""
+    parts = F.split(col, "'")
+    return F.array_join(F.transform(parts, lambda p, i: F.when(i % 2 == 0, change(p)).otherwise(p)), "'")
+
+
 def space_sql(col: Column) -> Column:
     """Spaces around signs, dots and operators outside quotes, and none doubled."""
-    out = F.regexp_replace(col, r"(<=|>=|<>|!=|[(),.=<>*+/-])(?=(?:[^']*'[^']*')*[^']*$)", " $1 ")
-    return F.trim(F.regexp_replace(out, r"\s+(?=(?:[^']*'[^']*')*[^']*$)", " "))
+    spaced = lambda p: F.regexp_replace(F.regexp_replace(p, r"(<=|>=|<>|!=|[(),.=<>*+/-])", " $1 "), r"\s+", " ")
+    return F.trim(_outside(col, spaced))
 
 
 def apply(col: Column) -> Column:
     """Names in a text of SQL or schema, split reversibly, outside quotes."""
-    outside = r"(?=(?:[^']*'[^']*')*[^']*$)"
-    cased = F.regexp_replace(col, "([a-z0-9])([A-Z])" + outside, f"$1 {JOIN} $2")
-    return F.regexp_replace(cased, "(?<=[A-Za-z0-9])_(?=[A-Za-z0-9])" + outside, " _ ")
+    cased = lambda p: F.regexp_replace(p, "([a-z0-9])([A-Z])", f"$1 {JOIN} $2")
+    return _outside(col, lambda p: F.regexp_replace(cased(p), "(?<=[A-Za-z0-9])_(?=[A-Za-z0-9])", " _ "))
 
 
 def restore(col: Column) -> Column:
-    outside = r"(?=(?:[^']*'[^']*')*[^']*$)"
-    joined = F.regexp_replace(col, " _ " + outside, "_")
-    return F.regexp_replace(joined, f" {JOIN} " + outside, "")
+    return _outside(col, lambda p: F.regexp_replace(F.regexp_replace(p, " _ ", "_"), f" {JOIN} ", ""))
 
 
 def mark_boundaries(question: Column, sql: Column, clauses: list[str]) -> Column:
-    """Clauses of the query numbered by marks, and the question's words that they share marked alike."""
-    marked = sql
-    for i, word in enumerate(clauses):
-        marked = F.regexp_replace(marked, rf"(?i)\b({word})\b", f"[c{i}] $1")
-    shared = F.array_intersect(F.split(F.lower(question), "[^a-z0-9]+"), F.split(F.lower(sql), "[^a-z0-9]+"))
-    words = F.transform(F.split(question, " "), lambda w: F.when(F.array_contains(shared, F.lower(F.regexp_replace(w, "[^A-Za-z0-9]", ""))), F.concat(F.lit("[m] "), w)).otherwise(w))
-    return F.concat_ws(" || ", F.array_join(words, " "), marked)
+    """Clauses of the query with numbered marks, and the question's words with the mark of the first clause that has them."""
+    parts = F.split(sql, rf"(?i)(?=\b(?:{'|'.join(clauses)})\b)")
+    words_of = F.transform(parts, lambda p: F.split(F.lower(p), "[^a-z0-9]+"))
+
+    def marked(word: Column) -> Column:
+        plain = F.lower(F.regexp_replace(word, "[^A-Za-z0-9]", ""))
+        at = F.array_position(F.transform(words_of, lambda own: F.array_contains(own, plain)), True)
+        return F.when((plain != "") & (at > 0), F.concat(F.lit("[c"), (at - 1).cast("string"), F.lit("] "), word)).otherwise(word)
+
+    left = F.array_join(F.transform(F.split(question, " "), marked), " ")
+    right = F.array_join(F.transform(parts, lambda p, i: F.concat(F.lit("[c"), i.cast("string"), F.lit("] "), p)), "")
+    return F.concat_ws(" || ", left, right)
 
 
 def naive_pieces(col: Column, size: int) -> Column:

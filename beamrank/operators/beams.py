@@ -41,6 +41,34 @@ def ensure_gold(df: DataFrame, k: int = 5, mode: str = "replace_last") -> DataFr
     return moved.withColumn("is_gold", gold).drop("pos", "gold_pos").withColumnRenamed("new_pos", "pos")
 
 
+def insert_gold(df: DataFrame, gold: DataFrame, k: int = 5, mode: str = "replace_last", on: str = "item_id") -> DataFrame:
+    """The first ``k`` items of each beam, and the beam's gold item if none of them matches it.
+
+    ``gold`` has one row for each beam, with the columns of ``df`` but ``pos``, from wherever it came: it need not
+    be in the beam. An item matches if it equals the gold item in column ``on``: the text, a key of its
+    components, or the fingerprint of its result. ``replace_last`` puts the gold item in place k, or
+    after a shorter beam; ``front`` puts it first and moves the others on. Beams without a gold row stay.
+    """
+    names = [c for c in df.columns if c != "pos"]
+    items = first_k(df, k).select(*names, "pos", F.lit(False).alias("own"))
+    both = items.unionByName(gold.select(*names, F.lit(0).cast("int").alias("pos"), F.lit(True).alias("own")))
+    beam = Window.partitionBy("beam_id")
+    key = F.max(F.when(F.col("own"), F.col(on))).over(beam)
+    same = F.coalesce(F.col(on) == key, F.lit(False))
+    marked = both.withColumn("is_gold", same).withColumn("n", F.count_if(~F.col("own")).over(beam))
+    marked = marked.withColumn("absent", F.max(F.col("own")).over(beam) & ~F.coalesce(F.max(F.col("is_gold") & ~F.col("own")).over(beam), F.lit(False)))
+    own, absent = F.col("own"), F.col("absent")
+    if mode == "replace_last":
+        place = F.when(own, F.least(F.col("n") + 1, F.lit(k))).otherwise(F.col("pos"))
+        stays = own | ~absent | (F.col("pos") < k)
+    elif mode == "front":
+        place, stays = F.when(own, 1).when(absent, F.col("pos") + 1).otherwise(F.col("pos")), F.lit(True)
+    else:
+        raise ValueError(mode)
+    kept = marked.where(absent | ~own).withColumn("place", place.cast("int")).where(stays & (F.col("place") <= k))
+    return kept.select(*names, F.col("place").alias("pos"), "is_gold")
+
+
 def with_gold_first(df: DataFrame, k: int) -> DataFrame:
     """The first ``k`` items of each beam, its gold item in first place if not among them, and labelled correct."""
     return ensure_gold(with_gold(df), k, "front").withColumn("correct", F.col("correct") | F.col("is_gold"))
@@ -65,17 +93,23 @@ def geometric_shift(beam: Column, size: Column, k: int, keep: float = KEEP) -> C
     return shift
 
 
-def reorder_geometric(df: DataFrame, k: int = 5, keep: float = KEEP) -> DataFrame:
-    """Move a correct first item as far as the coins of its beam say; those it passes move up by one.
+def reorder_geometric(df: DataFrame, k: int = 5, keep: float = KEEP, anchor: str = "first") -> DataFrame:
+    """Move a correct item as far as the coins of its beam say, within the first k; those it passes move up by one.
 
-    In closed form: no array is rewritten. Beams whose first item is not correct stay as they are.
+    In closed form: no array is rewritten. With ``anchor`` "first" it is the first item, and beams in which that
+    is not correct stay as they are; with "first_correct" it is the first correct one, wherever it stands.
     """
     whole = Window.partitionBy("beam_id")
-    size, right = F.count(F.lit(1)).over(whole), F.max(F.when(F.col("pos") == 1, F.col("correct"))).over(whole)
-    shift = F.when(F.coalesce(right, F.lit(False)), geometric_shift(F.col("beam_id").cast("string"), size, k, keep)).otherwise(0)
-    moved = df.withColumn("shift", shift)
-    place = F.when(F.col("pos") == 1, F.col("shift") + 1).when(F.col("pos") <= F.col("shift") + 1, F.col("pos") - 1).otherwise(F.col("pos"))
-    return moved.withColumn("new_pos", place.cast("int")).drop("shift")
+    size = F.least(F.count(F.lit(1)).over(whole), F.lit(k))
+    start = F.min(F.when(F.col("correct"), F.col("pos"))).over(whole)
+    walks = start == 1 if anchor == "first" else start <= size
+    if anchor not in ("first", "first_correct"):
+        raise ValueError(anchor)
+    moved = df.withColumn("start", F.when(walks, start)).withColumn("room", size - F.col("start") + 1)
+    moved = moved.withColumn("goal", F.col("start") + geometric_shift(F.col("beam_id").cast("string"), F.col("room"), k, keep))
+    passed = (F.col("pos") > F.col("start")) & (F.col("pos") <= F.col("goal"))
+    place = F.when(F.col("pos") == F.col("start"), F.col("goal")).when(passed, F.col("pos") - 1).otherwise(F.col("pos"))
+    return moved.withColumn("new_pos", place.cast("int")).drop("start", "room", "goal")
 
 
 def first_correct(df: DataFrame) -> DataFrame:

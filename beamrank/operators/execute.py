@@ -2,7 +2,8 @@
 
 Results are never collected. A result is one row: number of columns and rows, and two aggregates of
 the rows' hashes. Distinct texts run once, many to a job; texts that fail analysis are wrong without
-a job; only SELECT and WITH are accepted.
+a job, and those that fail by their values (a division by zero, a bad cast) are wrong alone, not their
+batch; only SELECT and WITH are accepted.
 """
 
 from __future__ import annotations
@@ -10,7 +11,10 @@ from __future__ import annotations
 import re
 from functools import reduce
 
-from pyspark.errors import AnalysisException, ParseException
+from pyspark.errors import (
+    AnalysisException, ArithmeticException, ArrayIndexOutOfBoundsException, DateTimeException, IllegalArgumentException,
+    NumberFormatException, ParseException, SparkRuntimeException,
+)
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -36,28 +40,56 @@ def analysed(spark: SparkSession, sql: str) -> DataFrame | None:
         return None
 
 
-def _plain(df: DataFrame, ordered: bool) -> tuple[DataFrame, list[Column]]:
-    named = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
-    columns = []
-    for name, kind in named.dtypes:
-        c = F.col(name)
-        c = F.round(c, 6).cast("decimal(38,6)").cast("string") if kind in ("double", "float") or kind.startswith("decimal") else c.cast("string")
-        columns.append(F.coalesce(F.concat(F.lit("v"), c), F.lit("null")))
-    if ordered:
-        named = named.withColumn("row", F.row_number().over(Window.orderBy(F.monotonically_increasing_id())))
-        columns.append(F.col("row").cast("string"))
-    return named, columns
+def _text_of(c: Column, kind: str) -> Column:
+    """A value as text: numbers rounded to six places where they fit, NaN and infinities with marks of their own, null apart from all."""
+    if kind in ("double", "float"):
+        c = c.cast("double")
+        plain = F.coalesce(F.round(c, 6).try_cast("decimal(38,6)").cast("string"), c.cast("string"))
+        text = F.when(F.isnan(c), "NaN").when(F.abs(c) == float("inf"), F.when(c > 0, "inf").otherwise("-inf")).otherwise(plain)
+    elif kind.startswith("decimal"):
+        text = F.coalesce(F.round(c, 6).try_cast("decimal(38,6)").cast("string"), c.cast("string"))
+    else:
+        text = c.cast("string")
+    return F.when(c.isNull(), "null").otherwise(F.concat(F.lit("v"), text))
 
 
 def fingerprint(df: DataFrame, ordered: bool = False) -> DataFrame:
-    """One row (arity, n, sum and xor of row hashes) by partial aggregation."""
-    named, columns = _plain(df, ordered)
-    h = F.xxhash64(*columns)
-    return named.agg(F.lit(len(df.columns)).alias("arity"), F.count(F.lit(1)).alias("n"), F.sum(h.cast("decimal(38,0)")).alias("total"), F.bit_xor(h).alias("mixed"))
+    """One row (arity, n, total, mixed): a bag's sum and xor of row hashes by partial aggregation.
+
+    With ``ordered``, hashes are weighted by the rows' places: each partition of the sorted result gives
+    sums over its own places, and the few partitions are put together by the counts before them.
+    """
+    named = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
+    columns = [_text_of(F.col(name), kind) for name, kind in named.dtypes]
+    h, arity = F.xxhash64(*columns), F.lit(len(df.columns))
+    if not ordered:
+        return named.agg(arity.alias("arity"), F.count(F.lit(1)).alias("n"), F.sum(h.cast("decimal(38,0)")).alias("total"), F.bit_xor(h).alias("mixed"))
+    placed = named.select(h.alias("h"), F.monotonically_increasing_id().alias("at"))
+    short, place = F.pmod("h", F.lit(1 << 31)).cast("decimal(38,0)"), F.expr("at & 8589934591").cast("decimal(20,0)")
+    parts = placed.groupBy(F.shiftright("at", 33).alias("part")).agg(F.count(F.lit(1)).alias("n"), F.sum(short).alias("s"), F.sum(short * place).alias("sp"), F.bit_xor("h").alias("x"))
+    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    summed = parts.withColumn("w", F.col("sp") + F.col("s") * before)
+    return summed.agg(arity.alias("arity"), F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.sum("w").cast("decimal(38,0)").alias("total"), F.bit_xor("x").alias("mixed"))
+
+
+#: What a query's own values can raise when it runs; anything else is no verdict on the query.
+FAILURES = (ArithmeticException, ArrayIndexOutOfBoundsException, DateTimeException, IllegalArgumentException, NumberFormatException, SparkRuntimeException)
+
+
+def _run(ready: list[tuple[int, DataFrame]], ordered: bool) -> dict[int, tuple | None]:
+    """Fingerprints by number; if a batch fails by its values, its halves run apart, down to the one that fails."""
+    try:
+        rows = reduce(DataFrame.union, [fingerprint(df, ordered).select(F.lit(i).alias("i"), "*") for i, df in ready])
+        return {r["i"]: (r["arity"], r["n"], r["total"], r["mixed"]) for r in rows.collect()}
+    except FAILURES:
+        if len(ready) == 1:
+            return {ready[0][0]: None}
+        half = len(ready) // 2
+        return _run(ready[:half], ordered) | _run(ready[half:], ordered)
 
 
 def fingerprints(spark: SparkSession, sf_dir: str, sqls: list[str], ordered: bool = False) -> dict[str, tuple | None]:
-    """Fingerprint of each text, None if it is invalid. The driver gets one row for each text."""
+    """Fingerprint of each text, None if it is invalid or fails when it runs. The driver gets one row for each text."""
     register(spark, sf_dir)
     out: dict[str, tuple | None] = {}
     ready = []
@@ -68,25 +100,27 @@ def fingerprints(spark: SparkSession, sf_dir: str, sqls: list[str], ordered: boo
         else:
             ready.append((i, df))
     for at in range(0, len(ready), BATCH):
-        rows = reduce(DataFrame.union, [fingerprint(df, ordered).select(F.lit(i).alias("i"), "*") for i, df in ready[at : at + BATCH]])
-        out |= {sqls[r["i"]]: (r["arity"], r["n"], r["total"], r["mixed"]) for r in rows.collect()}
+        out |= {sqls[i]: found for i, found in _run(ready[at : at + BATCH], ordered).items()}
     return out
 
 
-_labels: dict[tuple[str, str], dict] = {}
+_known: dict[tuple[str, str], dict[str, tuple | None]] = {}
+
+
+def verdicts(spark: SparkSession, sf_dir: str, pairs: list[tuple[str, str]], golds: dict[str, str]) -> dict[tuple[str, str], tuple[bool, bool, int]]:
+    """(question, text) -> (right, valid, rows of the gold result). Each distinct text runs once in a session."""
+    known = _known.setdefault((spark.sparkContext.applicationId, sf_dir), {})
+    texts = dict.fromkeys([*(golds[g] for g, _ in pairs), *(q for _, q in pairs)])
+    known |= fingerprints(spark, sf_dir, [q for q in texts if q not in known])
+    return {(g, q): (known[q] is not None and known[q] == known[golds[g]], known[q] is not None, known[golds[g]][1]) for g, q in pairs}
 
 
 def labels(spark: SparkSession, sf_dir: str) -> dict[tuple[str, str], tuple[bool, bool, int]]:
-    """(gold_id, sql) -> (right, valid, rows of the gold result), for all candidates of the catalogue."""
+    """The verdicts on all candidates of the catalogue."""
     from beamrank.operators.generators import candidates
 
-    key = (spark.sparkContext.applicationId, sf_dir)
-    if key not in _labels:
-        rows = candidates()
-        prints = fingerprints(spark, sf_dir, list(dict.fromkeys(q for _, _, q in rows)))
-        golds = {g: prints[q] for g, kind, q in rows if kind == "gold"}
-        _labels[key] = {(g, q): (prints[q] is not None and prints[q] == golds[g], prints[q] is not None, golds[g][1]) for g, _, q in rows}
-    return _labels[key]
+    rows = candidates()
+    return verdicts(spark, sf_dir, [(g, q) for g, _, q in rows], {g: q for g, kind, q in rows if kind == "gold"})
 
 
 def label_table(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from beamrank.sources.io import stored
+
 _BIG = 1 << 32
 
 
@@ -90,12 +92,13 @@ def linking(df: DataFrame, score: str = "score") -> DataFrame:
 def waves(df: DataFrame, verdicts, sizes: tuple[int, ...] = (1, 5)) -> DataFrame:
     """The verifier's choice when verdicts are dear: ``verdicts(items)`` adds ``verified`` to items.
 
-    Ranks are judged in waves; beams with an accepted item take no part in later ones.
+    Ranks are judged in waves; beams with an accepted item take no part in later ones. What a wave
+    accepts is stored, so that no item is judged twice.
     """
     low, left, settled = 0, df, None
     for high in (*sizes, None):
         wave = left.where(F.col("pos") > low) if high is None else left.where((F.col("pos") > low) & (F.col("pos") <= high))
-        hits = verdicts(wave).where("verified").groupBy("beam_id").agg(F.min("pos").alias("pos"))
+        hits = stored(verdicts(wave).where("verified").groupBy("beam_id").agg(F.min("pos").alias("pos")), "wave")
         settled = hits if settled is None else settled.union(hits)
         left, low = left.join(hits.select("beam_id"), "beam_id", "left_anti"), high or 0
     chosen = df.join(settled, ["beam_id", "pos"]).select("beam_id", "item_id", "correct")

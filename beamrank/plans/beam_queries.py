@@ -58,6 +58,13 @@ def reorder_geometric(spark, d):
     return beams.reorder_geometric(beams.first_k(line_beams(spark, d), 5)).select("beam_id", "pos", "item_id", "new_pos")
 
 
+@query("reorder_geometric_anchor")
+def reorder_geometric_anchor(spark, d):
+    """The same walk from the first correct item, wherever it stands."""
+    moved = beams.reorder_geometric(beams.first_k(line_beams(spark, d), 5), anchor="first_correct")
+    return moved.select("beam_id", "pos", "item_id", "new_pos")
+
+
 @query("correct_position_hist", f"{LINE} select first_pos, count(*) as beams from (select beam_id, min(pos) filter (correct) as first_pos from line_beams group by beam_id) group by first_pos")
 def correct_position_hist(spark, d):
     return beams.position_hist(line_beams(spark, d))
@@ -225,7 +232,7 @@ def _matrix(spark, d, names: list[str]):
     keys = {
         "top1": pos,
         "verifier": F.when(F.col("verified"), 0).otherwise(1 << 32) + pos,
-        "selector": F.when(F.col("pos") <= 5, (1000 - F.col("score")).cast("bigint") * 1024).otherwise(1 << 40) + pos,
+        "selector": F.struct(F.when(F.col("pos") <= 5, 0).otherwise(1).alias("late"), (-F.col("score")).alias("s"), pos.alias("p")),
         "ceiling": F.when(F.col("correct"), 0).otherwise(1 << 32) + pos,
         "random": rerank.random_key(),
     }

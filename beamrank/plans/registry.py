@@ -9,10 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 Query = Callable[[SparkSession, str], DataFrame]
 
 QUERIES: dict[str, Query] = {}
-ORACLES: dict[str, str] = {}
+#: The SQL, or what makes it: some states beams as literals, which takes a while to make.
+ORACLES: dict[str, str | Callable[[], str]] = {}
 
 
-def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
+def query(name: str, sql: str | Callable[[], str] | None = None) -> Callable[[Query], Query]:
     def add(f: Query) -> Query:
         QUERIES[name] = f
         if sql:
@@ -20,3 +21,7 @@ def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
         return f
 
     return add
+
+
+def oracle_texts() -> dict[str, str]:
+    return {name: sql() if callable(sql) else sql for name, sql in ORACLES.items()}

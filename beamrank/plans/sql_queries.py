@@ -8,15 +8,15 @@ import pandas as pd
 from pyspark.sql import functions as F
 
 from beamrank.functions import sqlshape
-from beamrank.operators import execute, generators
-from beamrank.operators.generators import IR_VERSIONS, candidates
+from beamrank.operators import execute
+from beamrank.operators.generators import candidates
 from beamrank.plans.registry import query
-from beamrank.plans.text_queries import COLUMNS, gold_table
+from beamrank.operators.lattice import OWNER
+from beamrank.plans.text_queries import gold_table
 from beamrank.sources.catalogue import GOLD
 from beamrank.sources.tables import FOREIGN_KEYS, table
 
 GOLD_OF = {g: q for g, _, q, _ in GOLD}
-OWNER = {c: t for t, names in COLUMNS.items() for c in names.split() if sum(c in n.split() for n in COLUMNS.values()) == 1}
 
 
 def sql_parts_udf(sql):
@@ -66,7 +66,13 @@ def udf_sql_parts(spark, d):
     return _candidates(spark).select("sql").distinct().withColumn("p", sql_parts_udf("sql")).groupBy(F.col("p.ok").alias("parsed")).agg(F.count(F.lit(1)).alias("texts"))
 
 
-@query("em_accuracy")
+#: Edits that leave every component as it is, by what they do.
+KEEPS = ("gold", "alias", "conjuncts", "two comparisons")
+KINDS = f"k(kind) as (values {', '.join(f'({k!r})' for _, k, _ in candidates())})"
+EM_SQL = f"with {KINDS} select kind, count(*) filter (kind in {KEEPS}) as matches, count(*) as candidates from k group by kind"
+
+
+@query("em_accuracy", EM_SQL)
 def em_accuracy(spark, d):
     return _em(_compared(spark)).groupBy("kind").agg(F.count_if("em").alias("matches"), F.count(F.lit(1)).alias("candidates"))
 
@@ -130,7 +136,18 @@ def constrained_filter(spark, d):
     return execute.label_table(spark, d).groupBy("gold_id").agg(F.count(F.lit(1)).alias("candidates"), F.count_if("valid").alias("kept"))
 
 
-@query("ex_ordered")
+def _ordered_sql() -> str:
+    """Rows with their places, by difference both ways."""
+    out = []
+    for g, k, q in candidates():
+        if " order by " in GOLD_OF[g]:
+            a, b = (f"select row_number() over () as place, * from ({x})" for x in (q, GOLD_OF[g]))
+            same = f"not exists (({a}) except all ({b})) and not exists (({b}) except all ({a}))" if k != "syntax" else "false"
+            out.append(f"select '{g}' as gold_id, '{k}' as kind, {same} as ex")
+    return " union all ".join(out)
+
+
+@query("ex_ordered", _ordered_sql())
 def ex_ordered(spark, d):
     """Execution match of the sorted gold queries and their candidates, with the order of rows counting."""
     rows = [(g, k, q) for g, k, q in candidates() if " order by " in GOLD_OF[g]]
@@ -153,51 +170,6 @@ def ex_fused_scan(spark, d):
     return execute.fused_scan(table(spark, d, "lineitem"), PREDICATES)
 
 
-def _beams(spark, d, rows, schema):
-    labels = execute.label_table(spark, d).select("gold_id", "sql", F.col("ex").alias("correct"), "valid")
-    return spark.createDataFrame(rows, schema).join(labels, ["gold_id", "sql"])
-
-
-def system_beams(spark, d):
-    """Beams of all simulated systems, labelled by execution."""
-    return _beams(spark, d, generators.all_beams(), "backbone string, mask int, gold_id string, pos int, kind string, sql string")
-
-
-def _beams_sql() -> str:
-    rows = ", ".join(f"('{b}', {m}, '{g}', {p}, '{k}')" for b, m, g, p, k, _ in generators.all_beams())
-    return EX + f", beams(backbone, mask, gold_id, pos, kind) as (values {rows}), labelled as (select * from beams join ex using (gold_id, kind))"
-
-
-SYSTEMS = _beams_sql()
-
-
-@query("systems_compare", SYSTEMS + """, firsts as (select backbone, mask, gold_id, arg_min(ex, pos) as top, bool_or(ex) as hit from labelled group by all)
-select backbone, mask, round(count(*) filter (top) / 42, 6) as top1, round(count(*) filter (hit) / 42, 6) as coverage from firsts group by all""")
-def systems_compare(spark, d):
-    """Simulated systems: right at the top and right anywhere, over all questions, in one plan."""
-    one = system_beams(spark, d).groupBy("backbone", "mask", "gold_id").agg(F.min_by("correct", "pos").alias("top"), F.bool_or("correct").alias("hit"))
-    return one.groupBy("backbone", "mask").agg(F.round(F.count_if("top") / len(GOLD), 6).alias("top1"), F.round(F.count_if("hit") / len(GOLD), 6).alias("coverage"))
-
-
-@query("rerank_verifier_sql", SYSTEMS + """, firsts as (select backbone, mask, gold_id, arg_min(ex, (case when valid and kind not in ('syntax', 'condition') then 0 else 1 end, pos)) as top from labelled group by all)
-select backbone, mask, round(count(*) filter (top) / 42, 6) as accuracy from firsts group by all""")
-def rerank_verifier_sql(spark, d):
-    """Reranking with a verifier that rejects what does not run and what lost its conditions."""
-    good = F.col("valid") & ~F.col("kind").isin("syntax", "condition")
-    key = F.when(good, 0).otherwise(1 << 32) + F.col("pos")
-    one = system_beams(spark, d).groupBy("backbone", "mask", "gold_id").agg(F.min_by("correct", key).alias("top"))
-    return one.groupBy("backbone", "mask").agg(F.round(F.count_if("top") / len(GOLD), 6).alias("accuracy"))
-
-
-@query("alg_ir_versions")
-def alg_ir_versions(spark, d):
-    """Coverage and top-1 of three ways to put the IR into the algebra backbone, beside the plain one."""
-    rows = [(v, g, *item) for v, (skill, cover) in {"plain": generators.SYSTEMS["alg", 0], **IR_VERSIONS}.items() for g, _, q, _ in GOLD for item in generators.beam(g, q, f"alg{v}", skill, cover, False)]
-    labelled = _beams(spark, d, rows, "version string, gold_id string, pos int, kind string, sql string")
-    one = labelled.groupBy("version", "gold_id").agg(F.min_by("correct", "pos").alias("top"), F.bool_or("correct").alias("hit"))
-    return one.groupBy("version").agg(F.round(F.count_if("top") / len(GOLD), 6).alias("top1"), F.round(F.count_if("hit") / len(GOLD), 6).alias("coverage"))
-
-
 def ir_udf(sql):
     """IR, or the reason for none, lengths and the decoded query of each text."""
     return F.pandas_udf(_ir_of, "text string, reason string, n_ir int, n_sql int, decoded string")(sql)

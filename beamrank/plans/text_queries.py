@@ -8,18 +8,8 @@ from beamrank.functions import tokens
 from beamrank.operators import beams, metrics, synth
 from beamrank.plans.registry import query
 from beamrank.sources.catalogue import GOLD
-from beamrank.sources.tables import CHAT_SQL, FOREIGN_KEYS, LINE_SQL, TABLES, chat_beams, line_beams, schema_columns, table
-
-COLUMNS = {
-    "region": "r_regionkey r_name", "nation": "n_nationkey n_name n_regionkey",
-    "customer": "c_custkey c_name c_nationkey c_acctbal c_mktsegment", "supplier": "s_suppkey s_name s_nationkey s_acctbal",
-    "part": "p_partkey p_name p_brand p_type p_size p_retailprice",
-    "orders": "o_orderkey o_custkey o_orderstatus o_totalprice o_orderdate o_orderpriority",
-    "lineitem": "l_orderkey l_partkey l_suppkey l_linenumber l_quantity l_extendedprice l_discount l_tax l_returnflag l_linestatus l_shipdate",
-    "events": "event_id ts user_id event_type value props", "documents": "doc_id text lang source n_chars",
-    "embeddings": "vec_id embedding label", "pages": "page_id url html", "benchmark": "item_id text",
-    "labels": "doc_id quality toxic", "conversations": "conv_id turn role text",
-}
+from beamrank.sources.tables import CHAT_SQL, COLUMNS, FOREIGN_KEYS, LINE_SQL, TABLES, chat_beams, line_beams, schema_columns, table
+
 COLUMNS_SQL = "cols(table_name, column_name) as (values " + ", ".join(f"('{t}', '{c}')" for t in TABLES for c in COLUMNS[t].split()) + ")"
 GOLD_SQL = "gold(gold_id, question, sql, difficulty) as (values " + ", ".join("(" + ", ".join("'" + x.replace("'", "''") + "'" for x in row) + ")" for row in GOLD) + ")"
 
@@ -45,7 +35,12 @@ def pp_sql_spacing(spark, d):
     return gold_table(spark).select("gold_id", tokens.space_sql(F.col("sql")).alias("spaced"))
 
 
-@query("pp_markers")
+@query("pp_markers", f"with {GOLD_SQL}, " + r"""s as (select *, list_filter(string_split(regexp_replace(sql, '\b(select|from|where|group by|having|order by|limit)\b', chr(1) || '\1', 'g'), chr(1)), lambda x: x <> '') as parts from gold),
+w as (select gold_id, parts, unnest(string_split(question, ' ')) as word, generate_subscripts(string_split(question, ' '), 1) as i from s),
+k as (select *, lower(regexp_replace(word, '[^A-Za-z0-9]', '', 'g')) as plain from w),
+p as (select *, list_position(list_transform(parts, lambda x: list_contains(string_split_regex(lower(x), '[^a-z0-9]+'), plain)), true) as at from k),
+q as (select gold_id, string_agg(case when plain <> '' and at > 0 then '[c' || (at - 1) || '] ' || word else word end, ' ' order by i) as question from p group by gold_id)
+select gold_id, q.question || ' || ' || array_to_string(list_transform(parts, lambda x, n: '[c' || (n - 1) || '] ' || x), '') as marked from s join q using (gold_id)""")
 def pp_markers(spark, d):
     clauses = ["select", "from", "where", "group by", "having", "order by", "limit"]
     return gold_table(spark).select("gold_id", tokens.mark_boundaries(F.col("question"), F.col("sql"), clauses).alias("marked"))
@@ -58,6 +53,13 @@ def pp_apply(spark, d):
     return gold_table(spark).select("gold_id", tokens.apply(F.col("sql")).alias("text"))
 
 
+@query("pp_apply_schema", f"with {COLUMNS_SQL} select table_name, regexp_replace(table_name || ' : ' || string_agg(column_name, ' , ' order by column_name), '([A-Za-z0-9])_([A-Za-z0-9])', '\\1 _ \\2', 'g') as text from cols group by table_name")
+def pp_apply_schema(spark, d):
+    """The serialised schema, name by name, with the same splits as queries get."""
+    names = schema_columns(spark, d).groupBy("table_name").agg(F.array_join(F.array_sort(F.collect_list("column_name")), " , ").alias("c"))
+    return names.select("table_name", tokens.apply(F.concat_ws(" : ", "table_name", "c")).alias("text"))
+
+
 @query("pp_roundtrip", f"with {COLUMNS_SQL}, {GOLD_SQL}, n as (select (select count(*) from cols) + (select count(*) from gold) as texts) select texts::bigint as texts, 0::bigint as mismatches from n")
 def pp_roundtrip(spark, d):
     texts = schema_columns(spark, d).select(F.col("column_name").alias("t")).union(gold_table(spark).select("sql"))

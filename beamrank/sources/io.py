@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -15,8 +17,17 @@ def shared_folder(spark: SparkSession, name: str) -> str:
         master = spark.sparkContext.master
         if not master.startswith("local") or master.startswith("local-cluster"):
             raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        root = "file://" + tempfile.mkdtemp(prefix="beamrank-")
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
+        local = tempfile.mkdtemp(prefix="beamrank-")
+        atexit.register(shutil.rmtree, local, ignore_errors=True)
+        root = "file://" + local
+    return f"{root.rstrip('/')}/beamrank-{spark.sparkContext.applicationId}/{name}-{uuid.uuid4().hex[:12]}"
+
+
+def stored(df: DataFrame, name: str) -> DataFrame:
+    """``df`` written in the shared folder and read again: it is not computed twice, and its lineage ends."""
+    path = shared_folder(df.sparkSession, name)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def csv_round_trip(df: DataFrame) -> DataFrame:

@@ -14,6 +14,18 @@ TABLES = [
     "documents", "embeddings", "pages", "benchmark", "labels", "conversations",
 ]
 
+#: Columns of the tables, in order.
+COLUMNS = {
+    "region": "r_regionkey r_name", "nation": "n_nationkey n_name n_regionkey",
+    "customer": "c_custkey c_name c_nationkey c_acctbal c_mktsegment", "supplier": "s_suppkey s_name s_nationkey s_acctbal",
+    "part": "p_partkey p_name p_brand p_type p_size p_retailprice",
+    "orders": "o_orderkey o_custkey o_orderstatus o_totalprice o_orderdate o_orderpriority",
+    "lineitem": "l_orderkey l_partkey l_suppkey l_linenumber l_quantity l_extendedprice l_discount l_tax l_returnflag l_linestatus l_shipdate",
+    "events": "event_id ts user_id event_type value props", "documents": "doc_id text lang source n_chars",
+    "embeddings": "vec_id embedding label", "pages": "page_id url html", "benchmark": "item_id text",
+    "labels": "doc_id quality toxic", "conversations": "conv_id turn role text",
+}
+
 #: Foreign keys of the tables: (table, column) -> (table, column).
 FOREIGN_KEYS = {
     ("nation", "n_regionkey"): ("region", "r_regionkey"),
@@ -101,11 +113,23 @@ CHAT_SQL = """chat_beams as (
         where c.role = 'assistant'))"""
 
 
+#: Identifiers in a run that one task puts in order.
+RUN = 100_000
+
+
 def doc_beams(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents of a source and language as candidates, in order of their identifiers."""
+    """Documents of a source and language as candidates, in order of their identifiers.
+
+    A source may hold a third of all documents: ranks are taken within runs of identifiers, and
+    counts of the runs before are added, so that no task sorts a whole group.
+    """
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
-    rank = Window.partitionBy("source", "lang").orderBy("doc_id")
-    ranked = docs.select("source", "lang", "doc_id", "n_chars", F.row_number().over(rank).alias("pos"))
+    own = docs.select("source", "lang", "doc_id", "n_chars", F.expr(f"doc_id div {RUN}").alias("run"))
+    before = Window.partitionBy("source", "lang").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
+    starts = own.groupBy("source", "lang", "run").count().select("source", "lang", "run", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
+    inside = own.withColumn("place", F.row_number().over(Window.partitionBy("source", "lang", "run").orderBy("doc_id")))
+    same = [inside[c].eqNullSafe(starts[c]) for c in ("source", "lang", "run")]
+    ranked = inside.join(starts, same).select(inside["source"], inside["lang"], "doc_id", "n_chars", (F.col("place") + F.col("first")).cast("int").alias("pos"))
     joined = ranked.join(labels, "doc_id", "left")
     return joined.select(F.concat_ws("/", "source", "lang").alias("beam_id"), "pos", F.col("doc_id").alias("item_id"), (F.col("quality") == 1).alias("correct"), F.col("n_chars").cast("double").alias("score"))
 

@@ -39,6 +39,54 @@ def test_rerankers_by_hand(toy):
     assert picks(rerank.ceiling(toy)) == {1: 11, 2: 22, 3: 33, 4: 41}
 
 
+def test_waves_judge_no_item_twice(toy, spark):
+    judged = spark.sparkContext.accumulator(0)
+
+    def verdicts(items):
+        def run(batches):
+            for b in batches:
+                judged.add(len(b))
+                yield b
+
+        return items.mapInPandas(run, items.schema)
+
+    assert picks(rerank.waves(toy, verdicts)) == picks(rerank.verifier(toy))
+    assert judged.value <= toy.count()
+
+
+@pytest.mark.parametrize("mode,k", [("replace_last", 5), ("replace_last", 2), ("front", 5), ("front", 2)])
+def test_gold_from_outside_the_beam(spark, mode, k):
+    beams_of = {1: "abcdef", 2: "bcdefa", 3: "xyz", 4: "bca", 5: "", 6: "pq"}
+    gold = {1: "a", 2: "a", 3: "g", 4: "a", 5: "g"}
+    items = spark.createDataFrame([(b, p, t) for b, row in beams_of.items() for p, t in enumerate(row, 1)], "beam_id bigint, pos int, sql string")
+    golds = spark.createDataFrame(list(gold.items()), "beam_id bigint, sql string")
+    got = {}
+    for r in beams.insert_gold(items, golds, k, mode, "sql").collect():
+        got.setdefault(r["beam_id"], {})[r["pos"]] = (r["sql"], r["is_gold"])
+    for b, row in beams_of.items():
+        want = list(row[:k])
+        if b in gold and gold[b] not in want:
+            want = [gold[b], *want][:k] if mode == "front" else [*want[: k - 1], gold[b]]
+        assert [got.get(b, {})[p] for p in sorted(got.get(b, {}))] == [(t, t == gold.get(b)) for t in want]
+        assert sorted(got.get(b, {})) == list(range(1, len(want) + 1))
+
+
+def test_geometric_walk_from_the_first_correct_item(spark):
+    rows = from_rows(spark, [(b, p, 10 * b + p, p >= 2 + b % 3, False, 1.0) for b in range(300) for p in range(1, 6)])
+    plain = {(r["beam_id"], r["pos"]): r["new_pos"] for r in beams.reorder_geometric(rows, 5).collect()}
+    assert all(p == n for (_, p), n in plain.items())
+    moved = {}
+    for r in beams.reorder_geometric(rows, 5, anchor="first_correct").collect():
+        moved.setdefault(r["beam_id"], {})[r["pos"]] = r["new_pos"]
+    shifts = []
+    for b, at in moved.items():
+        start, order = 2 + b % 3, [p for p, _ in sorted(at.items(), key=lambda x: x[1])]
+        rest = [p for p in range(1, 6) if p != start]
+        assert sorted(at.values()) == [1, 2, 3, 4, 5] and [p for p in order if p != start] == rest and at[start] >= start
+        shifts.append(at[start] - start)
+    assert 0.6 < sum(s == 0 for s in shifts) / len(shifts) < 0.8
+
+
 def test_verdicts_of_all_or_none_give_top1(toy):
     assert picks(rerank.verifier(toy, F.lit(True))) == picks(rerank.verifier(toy, F.lit(False))) == picks(rerank.top1(toy))
 

@@ -67,13 +67,28 @@ def test_decoded_queries_give_the_same_rows(spark):
     assert all(prints[a] is not None and prints[a] == prints[b] for a, b in pairs)
 
 
-def test_beams_hold_distinct_candidates():
-    for backbone, mask, gold_id, _, _, _ in generators.all_beams():
-        assert (backbone, mask) in generators.SYSTEMS and gold_id
-    by = {}
-    for b, m, g, pos, _, q in generators.all_beams():
-        by.setdefault((b, m, g), []).append((pos, q))
-    assert all([p for p, _ in sorted(x)] == list(range(1, len(x) + 1)) and len({q for _, q in x}) == len(x) for x in by.values())
+def test_udtf_gives_the_generators_beams(spark):
+    got = sorted(tuple(r) for r in QUERIES["udtf_generate_beam"](spark, SF).collect())
+    assert got == sorted((g, *item) for g, _, q, _ in GOLD for item in generators.beam(g, q, "udtf", 0.8, 0.9, True))
+
+
+def test_a_failing_candidate_fails_alone(spark):
+    texts = [f"select {i} as v" for i in range(10)] + ["select 1 / (r_regionkey - r_regionkey) as v from region"]
+    prints = execute.fingerprints(spark, SF, texts)
+    assert prints[texts[-1]] is None and len({prints[t] for t in texts[:-1]}) == 10
+
+
+def test_order_counts_over_many_partitions(spark):
+    up, down = "select o_orderkey from orders order by o_orderkey", "select o_orderkey from orders order by o_orderkey desc"
+    again = "select o_orderkey from orders where o_orderkey >= 0 order by o_orderkey"
+    prints = execute.fingerprints(spark, SF, [up, down, again], ordered=True)
+    assert prints[up] == prints[again] != prints[down]
+    assert len({execute.fingerprints(spark, SF, [q])[q] for q in (up, down, again)}) == 1
+
+
+def test_nan_null_and_infinities_differ(spark):
+    texts = [f"select cast('{x}' as double) as v" for x in ("NaN", "Infinity", "-Infinity", "1e300", "2e300")] + ["select cast(null as double) as v"]
+    assert len(set(execute.fingerprints(spark, SF, texts).values())) == 6
 
 
 @settings(max_examples=40, deadline=None)
