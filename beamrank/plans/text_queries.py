@@ -38,8 +38,8 @@ def pp_sql_spacing(spark, d):
 @query("pp_markers", f"with {GOLD_SQL}, " + r"""s as (select *, list_filter(string_split(regexp_replace(sql, '\b(select|from|where|group by|having|order by|limit)\b', chr(1) || '\1', 'g'), chr(1)), lambda x: x <> '') as parts from gold),
 w as (select gold_id, parts, unnest(string_split(question, ' ')) as word, generate_subscripts(string_split(question, ' '), 1) as i from s),
 k as (select *, lower(regexp_replace(word, '[^A-Za-z0-9]', '', 'g')) as plain from w),
-p as (select *, list_position(list_transform(parts, lambda x: list_contains(string_split_regex(lower(x), '[^a-z0-9]+'), plain)), true) as at from k),
-q as (select gold_id, string_agg(case when plain <> '' and at > 0 then '[c' || (at - 1) || '] ' || word else word end, ' ' order by i) as question from p group by gold_id)
+p as (select *, list_position(list_transform(parts, lambda x: list_contains(string_split_regex(lower(x), '[^a-z0-9]+'), plain)), true) as spot from k),
+q as (select gold_id, string_agg(case when plain <> '' and spot > 0 then '[c' || (spot - 1) || '] ' || word else word end, ' ' order by i) as question from p group by gold_id)
 select gold_id, q.question || ' || ' || array_to_string(list_transform(parts, lambda x, n: '[c' || (n - 1) || '] ' || x), '') as marked from s join q using (gold_id)""")
 def pp_markers(spark, d):
     clauses = ["select", "from", "where", "group by", "having", "order by", "limit"]
