@@ -86,12 +86,10 @@ cut as (
   from d),
 seen as (
   select r, doc_id, nth, id from cut join known on trim(regexp_replace(lower(s), '[^a-z0-9]+', ' ', 'g')) = sentence),
-docs as (
-  select r, any_value(doc_id) as doc_id, string_agg('<' || id || '>', '' order by nth) as sequence, list(nth order by nth) as places from seen group by r)
-select doc_id, license, rule,
-       ((length(sequence) - length(replace(sequence, pattern, ''))) / length(pattern))::bigint as matches,
-       places[len(regexp_extract_all(substr(sequence, 1, instr(sequence, pattern) - 1), '<')) + 1]::int as first_sentence
-from docs join rules on contains(sequence, pattern)
+docs as (select r, any_value(doc_id) as doc_id, string_agg('<' || id || '@' || nth || '>', '' order by nth) as sequence from seen group by r),
+spans as (select r, doc_id, unnest(regexp_extract_all(sequence, '{either}')) as span from docs)
+select doc_id, license, rule, count(*)::bigint as matches, min(regexp_extract(span, '@([0-9]+)', 1)::int) as first_sentence
+from spans join rules on regexp_replace(span, '@[0-9]+', '', 'g') = pattern group by r, doc_id, license, rule
 """.format(
     keys=", ".join(map(str, SENTENCES)),
     texts=", ".join(f"'{s}'" for s in SENTENCES.values()),
@@ -99,6 +97,7 @@ from docs join rules on contains(sequence, pattern)
     licenses=", ".join(f"'{r[1]}'" for r in RULES),
     patterns=", ".join("'" + "".join(f"<{i}>" for i in r[2]) + "'" for r in RULES),
     stems="|".join(STEMS),
+    either="|".join("".join(f"<{i}@[0-9]+>" for i in ids) for ids in sorted((r[2] for r in RULES), key=len, reverse=True)),
 )
 
 #: CRC-32 of the UTF-8 bytes of t in table ``source``, from the rule of its polynomial.

@@ -68,12 +68,13 @@ def exact_dedup(docs: DataFrame, text: str = "text", counters: int = COUNTERS, b
     """
     groups = durable(exact_groups(docs, text, counters), "groups")
     pairs = groups.groupBy("doc_id", "text_sha256").agg(F.max("kept").alias("kept"), F.count(F.lit(1)).alias("n")).where("not kept or n > 1")
-    pairs = durable(pairs.toDF("__id", "__digest", "__kept", "__n"), "goes")
+    pairs = durable(pairs.toDF("id", "digest", "kept", "n"), "goes")
     pairs = bounded_broadcast(pairs, pairs.count(), broadcast_rows)
-    keyed = docs.withColumn("__own", digest_of(text))
-    on = (keyed["__own"] == pairs["__digest"]) & keyed["doc_id"].eqNullSafe(pairs["__id"])
-    once = keyed.join(pairs, on, "left_anti").select(*docs.columns)
-    again = keyed.join(pairs.where("__kept"), on, "inner")
-    one = Window.partitionBy("__own", "__id").orderBy(F.lit(0))
-    again = again.withColumn("__rank", F.row_number().over(one)).where("__rank = 1").select(*docs.columns)
-    return once.unionByName(again)
+    # rows travel whole under one name, so that no column of theirs can clash
+    keyed = docs.select(digest_of(text).alias("own"), F.col("doc_id").alias("own_id"), F.struct("*").alias("row"))
+    on = (F.col("own") == F.col("digest")) & F.col("own_id").eqNullSafe(F.col("id"))
+    once = keyed.join(pairs, on, "left_anti").select("row.*")
+    again = keyed.join(pairs.where("kept"), on).select("own", "own_id", "row")
+    one = Window.partitionBy("own", "own_id").orderBy(F.lit(0))
+    again = again.withColumn("rank", F.row_number().over(one)).where("rank = 1").select("row.*")
+    return once.union(again)

@@ -87,9 +87,11 @@ def mix_counts(docs: DataFrame, weights=WEIGHTS, max_repeat: int = MAX_REPEAT, s
 def mix(docs: DataFrame, weights=WEIGHTS, max_repeat: int = MAX_REPEAT, seeds: int = SEEDS) -> DataFrame:
     """The mixture itself: every row as many times as its copies, with the columns of ``docs``."""
     rates = mix_counts(docs, weights, max_repeat, seeds).select("source", "rate", "seed").distinct()
-    rates = durable(rates.toDF("__source", "__rate", "__seed"), "rates")
+    rates = durable(rates, "rates")
     rates = bounded_broadcast(rates, rates.count(), SOURCE_ROWS)
-    number = F.element_at(F.array(*[draw(F.col("doc_id"), k) for k in range(seeds)]), F.col("__seed") + 1)
-    copies = (F.floor("__rate") + F.when(number < F.col("__rate") - F.floor("__rate"), 1).otherwise(0)).cast("int")
-    rated = docs.join(rates, F.col("source").eqNullSafe(F.col("__source"))).withColumn("__copies", copies).where("__copies > 0")
-    return rated.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*docs.columns)
+    number = F.element_at(F.array(*[draw(F.col("own_id"), k) for k in range(seeds)]), F.col("seed") + 1)
+    copies = (F.floor("rate") + F.when(number < F.col("rate") - F.floor("rate"), 1).otherwise(0)).cast("int")
+    # rows travel whole under one name, so that no column of theirs can clash
+    keyed = docs.select(F.col("source").alias("own_source"), F.col("doc_id").alias("own_id"), F.struct("*").alias("row"))
+    rated = keyed.join(rates, F.col("own_source").eqNullSafe(F.col("source"))).withColumn("copies", copies).where("copies > 0")
+    return rated.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")

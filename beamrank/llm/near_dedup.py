@@ -257,12 +257,13 @@ def near_dedup(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS, **options)
     Only identifiers that go, and those that come more than once, are joined back.
     """
     classes = durable(near_classes(docs, broadcast_rows=broadcast_rows, with_hash=True, **options), "near")
-    goes = classes.groupBy("doc_id", "h").agg(F.max("kept").alias("__kept"), F.count(F.lit(1)).alias("__n")).where("not __kept or __n > 1")
-    goes = durable(goes.withColumnsRenamed({"doc_id": "__id", "h": "__h"}), "goes")
+    goes = classes.groupBy(F.col("doc_id").alias("id"), "h").agg(F.max("kept").alias("kept"), F.count(F.lit(1)).alias("n")).where("not kept or n > 1")
+    goes = durable(goes, "goes")
     goes = bounded_broadcast(goes, goes.count(), broadcast_rows)
-    keyed = docs.withColumn("__own", text_hash())
-    on = keyed["doc_id"].eqNullSafe(goes["__id"]) & (keyed["__own"] == goes["__h"])
-    once = keyed.join(goes, on, "left_anti").select(*docs.columns)
-    one = Window.partitionBy("__id", "__h").orderBy(F.lit(0))
-    again = keyed.join(goes.where("__kept"), on).withColumn("__rank", F.row_number().over(one))
-    return once.unionByName(again.where("__rank = 1").select(*docs.columns))
+    # rows travel whole under one name, so that no column of theirs can clash
+    keyed = docs.select(text_hash().alias("own"), F.col("doc_id").alias("own_id"), F.struct("*").alias("row"))
+    on = F.col("own_id").eqNullSafe(F.col("id")) & (F.col("own") == F.col("h"))
+    once = keyed.join(goes, on, "left_anti").select("row.*")
+    one = Window.partitionBy("own", "own_id").orderBy(F.lit(0))
+    again = keyed.join(goes.where("kept"), on).select("own", "own_id", "row").withColumn("rank", F.row_number().over(one))
+    return once.union(again.where("rank = 1").select("row.*"))

@@ -196,7 +196,9 @@ def keep_good(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS
             for part in textkit.slices(batch, batch.schema.names[place], SLICE_BYTES):
                 yield part.filter(pa.array(forest.score(text_statistics(part.column(place))) >= threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    # names of no meaning on the way, so that any name of the user's will do
+    plain = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
+    return plain.mapInArrow(run, plain.schema).toDF(*docs.columns)
 
 
 def _labelled(labels: DataFrame, sample_rows: int) -> DataFrame:

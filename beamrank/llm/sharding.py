@@ -137,11 +137,17 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, tolerance: float = 0.
 
 
 def write_shards(docs: DataFrame, path: str, shards: int = SHARDS) -> DataFrame:
-    """Write whole documents into ``path``, a folder per shard, in slot order within each file. Returns the placement."""
-    placed = durable(shard_documents(docs, shards), "placed").select(F.col("doc_id").alias("__id"), "text_crc32", "shard", "slot")
-    keyed = docs.withColumn("__crc", F.crc32(F.encode(text_or_empty(), "utf-8")))
-    placed_once = placed.dropDuplicates(["__id", "text_crc32"])
-    on = keyed["doc_id"].eqNullSafe(placed_once["__id"]) & (keyed["__crc"] == placed_once["text_crc32"])
-    out = keyed.join(placed_once, on).select(*docs.columns, "shard", "slot")
-    out.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    """Write whole documents into ``path``, a folder per shard, in slot order within each file. Returns the placement.
+
+    Files have the columns of ``docs`` with ``slot``, in folders ``shard=n``; if ``docs`` has columns of these
+    names, ours get underscores at the end until they differ. Rows with equal identifiers and texts share a shard, and the first of their slots.
+    """
+    taken = {c.lower() for c in docs.columns}
+    shard_name, slot_name = (next(n + "_" * k for k in range(len(taken) + 1) if n + "_" * k not in taken) for n in ("shard", "slot"))
+    placed = durable(shard_documents(docs, shards), "placed").select("doc_id", "text_crc32", "shard", "slot")
+    once = placed.groupBy(F.col("doc_id").alias("id"), "text_crc32").agg(F.min(F.struct("shard", "slot")).alias("at"))
+    keyed = docs.select(F.crc32(F.encode(text_or_empty(), "utf-8")).alias("own_crc"), F.col("doc_id").alias("own_id"), F.struct("*").alias("row"))
+    out = keyed.join(once, F.col("own_id").eqNullSafe(F.col("id")) & (F.col("own_crc") == F.col("text_crc32"))).select("at", "row")
+    ordered = out.repartitionByRange("at.shard", "at.slot").sortWithinPartitions("at.shard", "at.slot")
+    ordered.select("row.*", F.col("at.shard").alias(shard_name), F.col("at.slot").alias(slot_name)).write.partitionBy(shard_name).parquet(path)
     return placed

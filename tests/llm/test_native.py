@@ -184,7 +184,7 @@ def test_licenses_in_their_usual_forms(spark, form):
     texts = [MIT, APACHE, GPL, BSD, ISC, BSD.split("3. ")[0], MIT + "\n" + MIT]
     docs = spark.createDataFrame([(i, form(t)) for i, t in enumerate(texts)], "doc_id bigint, text string")
     got = sorted((r["doc_id"], r["rule"], r["matches"]) for r in scan_licenses(docs).collect())
-    assert got == [(0, "mit-text", 1), (1, "apache-header", 1), (2, "gpl-3-header", 1), (3, "bsd-2-text", 1), (3, "bsd-3-text", 1), (4, "isc-text", 1), (5, "bsd-2-text", 1), (6, "mit-text", 2)]
+    assert got == [(0, "mit-text", 1), (1, "apache-header", 1), (2, "gpl-3-header", 1), (3, "bsd-3-text", 1), (4, "isc-text", 1), (5, "bsd-2-text", 1), (6, "mit-text", 2)]
 
 
 def test_licenses_start_and_end_with_sentences(spark):
@@ -211,3 +211,72 @@ def test_empty(spark):
     none = odd(spark).where(F.lit(False))
     for f in (exact_groups, exact_dedup, shard_documents, mix_counts, mix, scan_licenses):
         assert f(none).collect() == []
+
+
+ODD_NAMES = ["__own", "__id", "__rank", "__copies", "__seed", "a.b", "row", "own", "id", "h", "kept", "rate", "copies", "shard", "slot", "digest"]
+
+
+def test_columns_of_any_name_pass_through(spark, tmp_path):
+    from beamrank.llm.near_dedup import near_dedup
+    from beamrank.llm.quality import keep_good
+
+    rows = [(i, t, "s", *(f"{n}{i}" for n in ODD_NAMES)) for i, t in enumerate(["one two three", "one two three", "x y z", None, "x y z w"])]
+    rows.append(rows[0])
+    docs = spark.createDataFrame(rows, ["doc_id", "text", "source", *ODD_NAMES])
+    labels = spark.createDataFrame([(0, 1)], "doc_id bigint, quality int")
+    for stage in (exact_dedup, near_dedup, mix, lambda d: keep_good(d, labels)):
+        got = stage(docs)
+        assert got.columns == docs.columns
+        assert {tuple(r) for r in got.collect()} <= set(rows) and got.count() > 0
+    assert sorted(r["doc_id"] for r in exact_dedup(docs).collect()) == [1, 2, 3, 4]
+    write_shards(docs, f"{tmp_path}/out", 2)
+    back = spark.read.parquet(f"{tmp_path}/out")
+    assert back.count() == 6 and set(docs.columns) < set(back.columns) and {"shard_", "slot_"} <= set(back.columns)
+
+
+FULL = {
+    "bsd-3-text": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.",
+    "gpl-2-header": "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version.\n\nThis program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU General Public License for more details.",
+    "lgpl-2-1-header": "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.\n\nThis library is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU Lesser General Public License for more details.",
+    "agpl-3-header": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.\n\nThis program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU Affero General Public License for more details.",
+    "mpl-2-header": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/.",
+    "epl-2-header": "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at https://www.eclipse.org/legal/epl-2.0/",
+    "zlib-text": "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable.\n\nPermission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions:",
+    "unlicense-text": "This is free and unencumbered software released into the public domain.\n\nAnyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.",
+    "boost-header": "Distributed under the Boost Software License, Version 1.0.",
+    "epl-2.0-notice-3": "This software is licensed under the Eclipse Public License 2.0.",
+    "apache-2.0-identifier": "SPDX-License-Identifier: Apache-2.0",
+    "bsd-3-clause-notice-4": "This project is licensed under the BSD 3-Clause License.",
+}
+
+
+@pytest.mark.parametrize("mark", ["", "# ", " * ", "// ", "-- "])
+@pytest.mark.parametrize("width", [40, 78, 10_000])
+def test_whole_texts_are_found_once(spark, mark, width):
+    import textwrap
+
+    rows = []
+    for i, t in enumerate(list(FULL.values())[1:]):
+        lines = [mark + line for part in t.split("\n\n") for line in [*textwrap.wrap(part, width, break_long_words=False, break_on_hyphens=False), ""]]
+        rows.append((i, "\n".join(["Some words before.", *lines, "And words after."])))
+    got = sorted((r["doc_id"], r["rule"], r["matches"]) for r in scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string")).collect())
+    assert got == [(i, rule, 1) for i, rule in enumerate(list(FULL)[1:])]
+
+
+def test_rules_take_what_they_match(spark):
+    three, two = "<a> <b> <c>", "<a> <b>"
+    table, rules = {1: "license a", 2: "license b", 3: "license c"}, [("two", "T", [1, 2]), ("three", "H", [1, 2, 3]), ("last", "L", [3])]
+    say = lambda t: t.replace("<a>", "License a.").replace("<b>", "License b.").replace("<c>", "License c.")
+    rows = [(1, say(three)), (2, say(two)), (3, say(f"{two} {three} {two}")), (4, say("<c>")), (5, say("<b> <a>"))]
+    got = sorted((r["doc_id"], r["rule"], r["matches"]) for r in scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string"), table, rules).collect())
+    assert got == [(1, "three", 1), (2, "two", 1), (3, "three", 1), (3, "two", 2), (4, "last", 1)]
+
+
+def test_every_known_sentence_has_a_stem_and_licences_are_many():
+    import re
+
+    from beamrank.llm.licenses import RULES
+
+    assert all(re.search("|".join(STEMS), s) for s in SENTENCES.values())
+    assert len(set(SENTENCES.values())) == len(SENTENCES) and len({r[1] for r in RULES}) >= 40
+    assert {i for r in RULES for i in r[2]} == set(SENTENCES)
