@@ -117,9 +117,12 @@ with d as (
          ('0x' || substr(md5(coalesce(text, '')), 1, 10))::bigint * 1048576
            + ('0x' || substr(md5(coalesce(doc_id::varchar, '')), 1, 5))::bigint as key
   from documents),
-keys as (select key, sum(size)::bigint as bytes from d group by key),
+keys as (select key, key >> 20 as grp, sum(size)::bigint as bytes from d group by key),
 cuts as (
-  select key, coalesce(sum(bytes) over (order by key rows between unbounded preceding and 1 preceding), 0)::bigint as below from keys
+  select key, below from (
+    select key, coalesce(sum(bytes) over (order by key rows between unbounded preceding and 1 preceding), 0)::bigint as below,
+           lag(grp) over (order by key) is distinct from grp as first, sum(bytes) over (partition by grp) as group_bytes from keys)
+  where first or group_bytes * 40 > (select sum(size) from d)
   union all select 1152921504606846976, (select sum(size) from d)::bigint),
 splitters as (
   select j, arg_min(key, (abs(40 * below - (select sum(size) from d) * j)::hugeint * 2000000000000000000 + key)) as cut

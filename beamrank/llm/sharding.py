@@ -7,7 +7,8 @@ within ``tolerance`` of its target, or when its range holds no further boundary.
 only counts of ``probes`` sub-ranges for each open splitter. At the end rows move once.
 
 Keys are 60-bit: 40 bits of a hash of the group (here: the text), then 20 of a hash of the
-identifier. Equal texts are neighbours, and a group too large for a shard can still be cut.
+identifier. Equal texts are neighbours. Splitters lie between groups; only a group of more bytes than a
+shard's share is cut, as the law of equal bytes could not hold otherwise.
 
 Edge cases. A null text has no bytes, and each row has 16 bytes besides. Rows of one key stay
 together; identical rows are interchangeable. With fewer rows than shards some shards are empty. An
@@ -25,6 +26,8 @@ from pyspark.sql import functions as F
 from beamrank.llm.common import durable, text_or_empty
 
 KEY_BITS = 60
+#: The low bits of a key, which tell rows of a group apart.
+LOW_BITS = 20
 OVERHEAD = 16
 SHARDS = 40
 PROBES = 1024
@@ -84,6 +87,28 @@ def histogram_splitters(rows: DataFrame, shards: int, tolerance: float = 0.0, pr
     return sorted(key for _, key in best.values())
 
 
+def between_groups(rows: DataFrame, splitters: list[int], shards: int) -> list[int]:
+    """Splitters moved to the nearer end of the group that they cut, unless it has more than a shard's share of the bytes.
+
+    One scan counts the bytes below both ends of each such group, of which there are fewer than shards.
+    """
+    groups = {k >> LOW_BITS for k in splitters}
+    ends = sorted({(g + side) << LOW_BITS for g in groups for side in (0, 1)})
+    sums = {r["at"]: r["bytes"] for r in rows.groupBy(_step(F.col("key"), ends).alias("at")).agg(F.sum("size").cast("bigint").alias("bytes")).collect()}
+    below, total = {}, 0
+    for i, end in enumerate(ends):
+        total += sums.get(i, 0)
+        below[end] = total
+    total += sums.get(len(ends), 0)
+    out = []
+    for j, key in enumerate(splitters, 1):
+        low, high = (key >> LOW_BITS) << LOW_BITS, ((key >> LOW_BITS) + 1) << LOW_BITS
+        if (below[high] - below[low]) * shards <= total:
+            key = min((low, high), key=lambda x: (abs(shards * below[x] - total * j), x))  # noqa: B023
+        out.append(key)
+    return sorted(out)
+
+
 def _counts(rows: DataFrame, ranges: list[tuple[int, int, int]], probes: int) -> list:
     """Exact bytes, and the least and largest key, in each of the ``probes`` equal parts of each range."""
     pick = lambda values: F.element_at(F.array(*[F.lit(v) for v in values]), F.col("r") + 1)
@@ -106,7 +131,7 @@ def histogram_shards(rows: DataFrame, shards: int, tolerance: float = 0.0, probe
     Slots come from ranks within sub-ranges of a shard and the counts of the sub-ranges before, so
     that no task has to hold a whole shard. There are shards * pieces such counts.
     """
-    splitters = histogram_splitters(rows, shards, tolerance, probes)
+    splitters = between_groups(rows, histogram_splitters(rows, shards, tolerance, probes), shards)
     edges = [0, *splitters, 1 << KEY_BITS]
     pick = lambda values: F.element_at(F.array(*[F.lit(v) for v in values]), F.col("shard") + 1)
     lo, width = pick(edges[:-1]), pick([max(1, b - a) for a, b in zip(edges, edges[1:], strict=False)])

@@ -280,3 +280,15 @@ def test_every_known_sentence_has_a_stem_and_licences_are_many():
     assert all(re.search("|".join(STEMS), s) for s in SENTENCES.values())
     assert len(set(SENTENCES.values())) == len(SENTENCES) and len({r[1] for r in RULES}) >= 40
     assert {i for r in RULES for i in r[2]} == set(SENTENCES)
+
+
+def test_groups_stay_whole_unless_larger_than_a_shard(spark):
+    rows = [(i, f"text {i // 7} " * (1 + i % 3 * 0 + i // 7 % 5)) for i in range(700)] + [(1000 + i, "hot" * 20) for i in range(400)]
+    got = shard_documents(spark.createDataFrame(rows, "doc_id bigint, text string"), 8).collect()
+    texts, where, sizes = dict(rows), defaultdict(set), Counter()
+    for r in got:
+        where[texts[r["doc_id"]]].add(r["shard"])
+        sizes[r["shard"]] += r["size"]
+    share = sum(sizes.values()) / 8
+    assert all(len(s) == 1 for t, s in where.items() if t != "hot" * 20) and len(where["hot" * 20]) > 1
+    assert max(sizes.values()) - min(sizes.values()) < share / 2
