@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows of a table of narrow rows (ids and digests) that may be sent to every executor.
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS = 250_000
 
 _scope: ContextVar[str] = ContextVar("scope", default="all")
 

@@ -39,36 +39,50 @@ from beamrank.llm.common import BROADCAST_ROWS, bounded_broadcast, connected_com
 WORDS = 5
 THRESHOLD = 0.8
 BANDS, ROWS = 25, 5
-BLOCK = 1024
+BLOCK = 256
 #: Bytes of text that a block may have, about: blocks of long texts have fewer of them.
 BLOCK_BYTES = 8 << 20
 #: Narrow enough for the arrays of a slice to stay small.
 SLICE_BYTES = 2 << 20
 
+#: Rows that are drawn at once.
+_CHUNK = 1 << 20
+
 _C = [np.uint64(0x9E3779B97F4A7C15 * (2 * i + 1) & (1 << 64) - 1) for i in range(16)]
 
 
 def shingles(column: pa.Array, words: int = WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Document, hash and count of each distinct run of words of each text."""
-    buf, offsets = textkit.flat_bytes(column)
-    begin, end, doc = textkit.words(buf, offsets)
-    if not len(begin):
+    """Document, hash and count of each distinct run of words of each text. Words are hashed window by window."""
+    hashes, docs = [np.empty(0, np.uint64)], [np.empty(0, np.int32)]
+    for first, buf, offsets in textkit.windows(column, SLICE_BYTES):
+        begin, end, own = textkit.words(buf, offsets)
+        hashes.append(textkit.span_hashes(buf, begin, end))
+        docs.append((own + first).astype(np.int32))
+    h, doc = np.concatenate(hashes), np.concatenate(docs)
+    del hashes, docs
+    if not len(h):
         return np.empty(0, np.int64), np.empty(0, np.uint64), np.empty(0, np.int64)
-    h = textkit.span_hashes(buf, begin, end)
-    parts, owners = [], []
-    if len(h) >= words:
-        run = sum((h[i : len(h) - words + 1 + i] * _C[i] for i in range(words)), np.uint64(0))
-        whole = doc[: len(h) - words + 1] == doc[words - 1 :]
-        parts.append(textkit.mix64(run[whole]))
-        owners.append(doc[: len(run)][whole])
-    count = np.bincount(doc, minlength=len(offsets) - 1)
+    count = np.bincount(doc, minlength=len(column))
     at = np.cumsum(count) - count
+    short = []
     for n in range(1, words):
-        short = np.flatnonzero(count == n)
-        if len(short):
-            parts.append(textkit.mix64(sum((h[at[short] + i] * _C[i] for i in range(n)), _C[words + n])))
-            owners.append(short)
-    value, owner = np.concatenate(parts), np.concatenate(owners)
+        some = np.flatnonzero(count == n)
+        if len(some):
+            short.append((textkit.mix64(sum((h[at[some] + i] * _C[i] for i in range(n)), _C[words + n])), some))
+    runs = max(0, len(h) - words + 1)
+    whole = doc[:runs] == doc[words - 1 :]
+    for a in range(0, runs, _CHUNK):
+        # a run's hash takes the place of its first word's, which no later run needs
+        b = min(runs, a + _CHUNK)
+        h[a:b] = textkit.mix64(sum((h[a + i : b + i] * _C[i] for i in range(words)), np.uint64(0)))
+    if len(column) == 1 and not short:
+        # one long text: no order but that of the hashes is needed
+        value = h[:runs]
+        value.sort()
+        new = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]]))
+        return np.zeros(len(new), np.int8), value[new], np.diff(np.append(new, len(value))).astype(np.int32)
+    value = np.concatenate([h[:runs][whole], *(v for v, _ in short)])
+    owner = np.concatenate([doc[:runs][whole].astype(np.int64), *(o for _, o in short)])
     salted = value ^ textkit.mix64(owner.astype(np.uint64) + _C[1])
     order = np.argsort(salted)
     value, owner, salted = value[order], owner[order], salted[order]
@@ -77,8 +91,17 @@ def shingles(column: pa.Array, words: int = WORDS) -> tuple[np.ndarray, np.ndarr
 
 
 def bag_minhash(owner: np.ndarray, value: np.ndarray, count: np.ndarray, n: int, registers: int) -> np.ndarray:
-    """Signatures (n x registers, 32-bit) of weighted sets given as rows (owner, value, count)."""
+    """Signatures (n x registers, 32-bit) of weighted sets given as rows (owner, value, count), so many rows at a time."""
     least = np.full((n, registers), np.inf)
+    for a in range(0, len(value), _CHUNK):
+        part = slice(a, a + _CHUNK)
+        _draw_points(least, owner[part].astype(np.int64), value[part], count[part].astype(np.int64))
+    return (textkit.mix64(least.view(np.uint64)) >> np.uint64(32)).astype(np.uint32)
+
+
+def _draw_points(least: np.ndarray, owner: np.ndarray, value: np.ndarray, count: np.ndarray) -> None:
+    """Lower ``least`` by the points of some rows."""
+    registers = least.shape[1]
     levels = np.where(count > 1, np.ceil(np.log2(np.maximum(count, 1))).astype(np.int64), 0) + 1
     row = np.repeat(np.arange(len(value)), levels)
     level = np.arange(len(row)) - np.repeat(np.cumsum(levels) - levels, levels)
@@ -98,7 +121,6 @@ def bag_minhash(owner: np.ndarray, value: np.ndarray, count: np.ndarray, n: int,
         if not live.all():
             seed, owner, weight, level, rate, time = (x[live] for x in (seed, owner, weight, level, rate, time))
         draw += 1
-    return (textkit.mix64(least.view(np.uint64)) >> np.uint64(32)).astype(np.uint32)
 
 
 def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
@@ -194,19 +216,22 @@ def verified_links(docs: DataFrame, signed: DataFrame, links: DataFrame, words:
 
     small = texts.where(F.col("n") <= F.col("block")).select("root", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(False).alias("cross"), "h", F.lit(0).alias("side"), "sig", "text")
     large = texts.where(F.col("n") > F.col("block"))
-    lead = large.where("h = leader").select(F.col("root").alias("r"), F.col("text").alias("lead_text")).dropDuplicates(["r"])
+    # parts of a large component, each with a copy of its leader's text
+    parts = F.greatest(F.lit(1), F.ceil(F.col("n") / F.col("block"))).cast("int")
+    dealt = large.withColumn("part", F.pmod(F.xxhash64("h"), parts).cast("int")).withColumn("side", F.lit(0))
+    lead = large.where("h = leader").dropDuplicates(["root"]).withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1))).withColumn("side", F.lit(1))
 
-    def against(batches):
-        for batch in batches:
-            for part in textkit.slices(batch, "text", SLICE_BYTES):
-                own, lead_bags = _bags(part.column("text"), words), {}
-                for t in set(part.column("lead_text").to_pylist()):
-                    lead_bags[t] = _bags(pa.array([t]), words)[0]
-                near = [similarity(x, lead_bags[t]) >= threshold for x, t in zip(own, part.column("lead_text").to_pylist(), strict=True)]
-                yield part.drop_columns(["lead_text"]).append_column("linked", pa.array(near))
-
-    checked = large.join(lead, F.col("root") == F.col("r")).select("h", "root", "n", "leader", "block", "sig", "text", "lead_text")
-    checked = durable(checked.mapInArrow(against, "h bigint, root bigint, n bigint, leader bigint, block int, sig binary, text string, linked boolean"), "checked")
+    def against(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        side = table.column("side").to_numpy()
+        own = table.filter(pa.array(side == 0)).combine_chunks()
+        leader = _bags(table.filter(pa.array(side == 1)).column("text").combine_chunks()[:1], words)[0]
+        linked = [h == own_leader or similarity(x, leader) >= threshold for x, h, own_leader in zip(_bags(own.column("text").combine_chunks(), words), own.column("h").to_pylist(), own.column("leader").to_pylist(), strict=True)]
+        textkit.trim()
+        return own.select(["h", "root", "n", "leader", "block", "sig", "text"]).append_column("linked", pa.array(linked, pa.bool_()))
+
+    checked = dealt.unionByName(lead).groupBy("root", "part").applyInArrow(against, "h bigint, root bigint, n bigint, leader bigint, block int, sig binary, text string, linked boolean")
+    checked = durable(checked, "checked")
     led = checked.where("linked and h <> leader").select(F.col("leader").alias("a"), F.col("h").alias("b")).distinct()
 
     open_n = checked.where("not linked").groupBy("root").agg(F.count(F.lit(1)).alias("open"))

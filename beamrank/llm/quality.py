@@ -17,6 +17,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -51,38 +52,71 @@ def _sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return total[offsets[1:]] - total[offsets[:-1]]
 
 
-def text_statistics(column: pa.Array) -> np.ndarray:
-    """One row of FEATURES for each text."""
-    buf, offsets = textkit.flat_bytes(column)
-    size = np.diff(offsets)
-    begin, end, doc = textkit.words(buf, offsets)
-    count = np.bincount(doc, minlength=len(size)) if len(doc) else np.zeros(len(size), np.int64)
-    word_at = np.concatenate([[0], np.cumsum(count)])
-    hashes = textkit.span_hashes(buf, begin, end)
-    out = np.zeros((len(size), len(FEATURES)), np.float32)
-    n, w = np.maximum(size, 1), np.maximum(count, 1)
-    out[:, 0], out[:, 1], out[:, 2] = np.log1p(size), np.log1p(count), size / w
-    for k in range(5):
-        out[:, 3 + k] = _sums(_CLASS[buf, k], offsets) / n
-    out[:, 8] = _sums(buf == 10, offsets) / w
-    if len(begin):
-        same = np.zeros(len(doc), bool)
-        same[1:] = (hashes[1:] == hashes[:-1]) & (doc[1:] == doc[:-1])
+#: Sums over a text, in this order; FEATURES are made of them.
+_SIZE, _WORDS, _CLASSES, _LINES, _DISTINCT, _SAME, _PAIRS, _CAPITAL, _SIGNED, _LONE, _LONG = 0, 1, slice(2, 7), 7, 8, 9, 10, 11, 12, 13, 14
+
+
+def text_statistics(column: pa.Array, window: int = SLICE_BYTES) -> np.ndarray:
+    """One row of FEATURES for each text, from sums over windows of at most ``window`` bytes.
+
+    Of a text that lies in several windows, the last word is carried on, and its distinct words and
+    pairs are gathered as sorted hashes.
+    """
+    sums = np.zeros((len(column), 15))
+    carried: dict[int, np.uint64] = {}
+    gathered: dict[tuple[int, int], np.ndarray] = {}
+    for first, buf, offsets in textkit.windows(column, window):
+        n = len(offsets) - 1
+        part = sums[first : first + n]
+        part[:, _SIZE] += np.diff(offsets)
+        for k in range(5):
+            part[:, 2 + k] += _sums(_CLASS[buf, k], offsets)
+        part[:, _LINES] += _sums(buf == 10, offsets)
+        begin, end, doc = textkit.words(buf, offsets)
+        if not len(begin):
+            continue
+        count = np.bincount(doc, minlength=n)
+        word_at = np.concatenate([[0], np.cumsum(count)])
+        hashes = textkit.span_hashes(buf, begin, end)
+        part[:, _WORDS] += count
+        before = np.concatenate([[np.uint64(0)], hashes[:-1]])
+        has = np.concatenate([[False], doc[1:] == doc[:-1]])
+        if int(doc[0]) == 0 and first in carried:
+            before[0], has[0] = carried.pop(first), True
         salt = textkit.mix64(doc.astype(np.uint64) + np.uint64(1))
-        pairs = textkit.mix64(hashes[:-1] * np.uint64(3) + hashes[1:])
-        own = doc[1:] == doc[:-1]
-        first = buf[begin]
-        out[:, 9] = _distinct(hashes ^ salt, doc, len(size)) / w
-        out[:, 10] = _sums(same, word_at) / w
-        out[:, 11] = _distinct((pairs ^ salt[1:])[own], doc[1:][own], len(size)) / w
-        out[:, 12] = _sums((first >= 65) & (first <= 90), word_at) / w
-        odd = _ODD[buf[end - 1]]
-        out[:, 13] = _sums(odd, word_at) / w
-        out[:, 14] = _sums(odd & (end - begin == 1), word_at) / w
-        out[:, 15] = _sums(end - begin > 20, word_at) / w
+        pairs = textkit.mix64(before * np.uint64(3) + hashes)
+        # texts that go on beyond this window, or came from the one before
+        for d in {0, n - 1}:
+            open_end = first + d in {k for k, _ in gathered} or (d == n - 1 and offsets[-1] == len(buf) and sums[first + d, _SIZE] < _size_of(column, first + d))
+            if open_end:
+                own = slice(word_at[d], word_at[d + 1])
+                for k, values in ((_DISTINCT, hashes[own]), (_PAIRS, pairs[own][has[own]])):
+                    gathered[first + d, k] = np.unique(np.concatenate([gathered.get((first + d, k), np.empty(0, np.uint64)), values]))
+                if count[d]:
+                    carried[first + d] = hashes[own][-1]
+        part[:, _DISTINCT] += _distinct(hashes ^ salt, doc, n)
+        part[:, _PAIRS] += _distinct((pairs ^ salt)[has], doc[has], n)
+        part[:, _SAME] += _sums(has & (before == hashes), word_at)
+        head, odd, size = buf[begin], _ODD[buf[end - 1]], end - begin
+        part[:, _CAPITAL] += _sums((head >= 65) & (head <= 90), word_at)
+        part[:, _SIGNED] += _sums(odd, word_at)
+        part[:, _LONE] += _sums(odd & (size == 1), word_at)
+        part[:, _LONG] += _sums(size > 20, word_at)
+    for (d, k), values in gathered.items():
+        sums[d, k] = len(values)
+    out = np.zeros((len(column), len(FEATURES)), np.float32)
+    size, count = sums[:, _SIZE], sums[:, _WORDS]
+    n, w = np.maximum(size, 1)[:, None], np.maximum(count, 1)[:, None]
+    out[:, 0], out[:, 1], out[:, 2] = np.log1p(size), np.log1p(count), size / w[:, 0]
+    out[:, 3:8] = sums[:, _CLASSES] / n
+    out[:, 8:] = sums[:, _LINES:] / w
     return out
 
 
+def _size_of(column: pa.Array, row: int) -> int:
+    return pc.binary_length(column.slice(row, 1))[0].as_py() or 0
+
+
 def _distinct(values: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
     order = np.argsort(values, kind="stable")
     values, doc = values[order], doc[order]
@@ -161,21 +195,28 @@ def fold_of(doc_id, parts: int):
     return F.crc32(F.encode(F.coalesce(F.col(doc_id).cast("string"), F.lit("")), "utf-8")) % parts
 
 
-def train(statistics: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Forest:
-    """Fit on labelled rows outside the held-out fold."""
+def labelled(labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
+    """doc_id and y of labelled documents outside the held-out fold: about ``sample_rows`` of them at most, chosen by hash."""
     known = labels.where("quality is not null and doc_id is not null").groupBy("doc_id").agg(F.avg("quality").alias("mean"))
-    known = known.where(fold_of("doc_id", 5) != 0).select("doc_id", (F.col("mean") >= 0.5).cast("int").alias("y"))
+    known = durable(known.where(fold_of("doc_id", 5) != 0).select("doc_id", (F.col("mean") >= 0.5).cast("int").alias("y")), "labelled")
     n = known.count()
-    if n > sample_rows:
-        known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1_000_000 * sample_rows / n))
-    rows = statistics.join(known, "doc_id").orderBy("doc_id").toPandas()
+    return known if n <= sample_rows else known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1_000_000 * sample_rows / n))
+
+
+def train(statistics: DataFrame, known: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Forest:
+    """Fit on rows of labelled identifiers; of an identifier with many rows, one for each of their distinct statistics up to a bound.
+
+    The labelled side is bounded, so that it is broadcast and the statistics of all documents do not move.
+    """
+    rows = statistics.join(F.broadcast(known), "doc_id").groupBy("doc_id", *FEATURES).agg(F.first("y").alias("y"))
+    rows = rows.orderBy("doc_id", *FEATURES).limit(2 * sample_rows).toPandas()
     return fit_forest(rows[FEATURES].to_numpy(np.float32), rows["y"].to_numpy(np.float64))
 
 
 def score_documents(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, held_out, score and predicted of every document."""
     statistics = statistics_table(docs)
-    forest = train(statistics, labels, sample_rows)
+    forest = train(statistics, labelled(labels, sample_rows), sample_rows)
 
     def run(batches):
         for batch in batches:
@@ -188,7 +229,8 @@ def score_documents(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPL
 
 def keep_good(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, threshold: float = THRESHOLD) -> DataFrame:
     """Documents that are predicted good, with all their columns. Texts pass each worker once and are not moved."""
-    forest = train(statistics_table(docs.join(F.broadcast(_labelled(labels, sample_rows)), "doc_id", "left_semi")), labels, sample_rows)
+    known = labelled(labels, sample_rows)
+    forest = train(statistics_table(docs.join(F.broadcast(known), "doc_id", "left_semi")), known, sample_rows)
     place = docs.columns.index("text")
 
     def run(batches):
@@ -199,12 +241,3 @@ def keep_good(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS
     # names of no meaning on the way, so that any name of the user's will do
     plain = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
     return plain.mapInArrow(run, plain.schema).toDF(*docs.columns)
-
-
-def _labelled(labels: DataFrame, sample_rows: int) -> DataFrame:
-    """Identifiers that training can use: a bounded number, for a broadcast."""
-    known = labels.where("quality is not null and doc_id is not null").where(fold_of("doc_id", 5) != 0).select("doc_id").distinct()
-    n = known.count()
-    if n > sample_rows:
-        known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1_000_000 * sample_rows / n))
-    return known

@@ -55,6 +55,35 @@ def flat_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return buf[first : int(offsets[-1])], (offsets - first).astype(np.int64)
 
 
+def windows(column: pa.Array, limit: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """Runs of at most ``limit`` bytes, or one word: the first text, the bytes, and where the texts begin among them.
+
+    Runs end before white space or a text, so that words stay whole; a long text lies in many runs,
+    and what is kept of a run does not grow with the text. Texts without bytes may be in any run, or none.
+    """
+    whole, offsets = flat_bytes(column)
+    low = 0
+    while low < len(whole):
+        high, size = min(len(whole), low + limit), limit
+        while high < len(whole):
+            begin = offsets[np.searchsorted(offsets, high, side="right") - 1]
+            blank = np.flatnonzero(_SPACE[whole[max(low + 1, high - 4096) : high + 1]])
+            if begin > low or len(blank):
+                high = max(int(begin), max(low + 1, high - 4096) + int(blank[-1]) if len(blank) else 0)
+                break
+            # no end in sight: look further back, then on
+            blank = np.flatnonzero(_SPACE[whole[low + 1 : high]])
+            if len(blank):
+                high = low + 1 + int(blank[-1])
+                break
+            size *= 2
+            high = min(len(whole), low + size)
+        first = int(np.searchsorted(offsets, low, side="right")) - 1
+        last = int(np.searchsorted(offsets, high, side="left"))
+        yield first, whole[low:high], np.clip(offsets[first : last + 1] - low, 0, high - low)
+        low = high
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective scrambling of 64-bit numbers (the finaliser of a public generator)."""
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)

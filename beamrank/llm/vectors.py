@@ -4,24 +4,29 @@ Equal vectors of a label are one vector with a number of copies. Each is project
 random directions. Two vectors collide on a line if either lies in the window of fixed width around
 the other there. A pair is verified, by cosine in double precision, if it collides on at least
 ``least`` lines: window and count are set together from the distance of vectors at the threshold,
-so that such a pair is missed with probability below one in a million, by the binomial law. Vectors
-are put in order along the first line and cut into blocks; a task sorts and counts the lines of a pair of
-blocks, and pairs of blocks whose nearest ends lie further apart on the first line than
-``reach`` standard deviations are not looked at. Tasks give out numbers of links and the links that
-connect, not pairs.
+so that such a pair is missed with probability below one in a million, by the binomial law.
 
-Work grows with the square of a label's distinct vectors within reach of each other, as any window
-on a line of fixed width holds a fixed share of them; it is spread over tasks of two blocks.
+Which pairs are counted at all: on a further random line through the origin, two vectors at the
+threshold lie on the same side with probability p = 1 - acos(cosine) / pi, whatever the data. The sides on k
+lines make a bucket, and there are several tables of k lines of their own. k is as large as the number of a
+label's vectors asks for, so that an even bucket has about ``block`` of them, and there are as many tables
+as p^k asks for, so that a pair at the threshold shares no bucket with probability below ``miss``; small
+labels have one bucket and miss nothing. A pair is counted in the first table in which it shares a
+bucket, so that numbers of links are exact sums; tasks give out these and the links that connect, not pairs.
+A bucket of more than ``block`` vectors is cut in blocks, and every pair of its blocks is a task.
+
+Work grows with tables times vectors times ``block``: a power of about 1.2 of a label's vectors, and the
+square only within a bucket that lines do not part, as of one dense cloud, where most pairs are links.
 
 Edge cases. Vectors that are null, empty, zero or have null or non-finite components, and those
 with a null label, link with nothing and are kept. Vectors of other lengths link with nothing of this
-length. Copies link with each other. Repeated identifiers are separate rows. An empty table gives an
+length. Copies link with each other. Repeated and null identifiers are separate rows. An empty table gives an
 empty result. Extra columns are not read.
 """
 
 from __future__ import annotations
 
-from math import comb, sqrt
+from math import acos, ceil, comb, log, log2, pi, sqrt
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +40,9 @@ LINES = 24
 #: Half the width of a window, in standard deviations of a pair at the threshold.
 HALF_WIDTH = 1.6
 MISS = 1e-6
-REACH = 5.5
+#: Probability that a pair at the threshold shares no bucket, and the most tables made for it.
+TABLE_MISS = 1e-4
+TABLES = 64
 BLOCK = 1024
 
 
@@ -55,6 +62,24 @@ def directions(size: int, lines: int, seed: int = 17) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal((size, lines))
 
 
+def tables_for(n: int, cosine: float, block: int, miss: float = TABLE_MISS, most: int = TABLES) -> tuple[int, int]:
+    """(k, tables) for a label of n vectors: the lines of a bucket, and how many tables a pair at the threshold asks for."""
+    side = 1 - acos(cosine) / pi
+    for k in range(max(0, ceil(log2(max(1, n) / block))), 0, -1):
+        tables = ceil(log(miss) / log(1 - side**k))
+        if tables <= most:
+            return k, tables
+    return 0, 1
+
+
+def bucket_codes(v: np.ndarray, k: int, tables: int) -> np.ndarray:
+    """The bucket of each vector in each table: a bit for the side on each of k lines."""
+    if not k:
+        return np.zeros((len(v), 1), np.int32)
+    side = v @ directions(v.shape[1], k * tables, seed=29) >= 0
+    return (side.reshape(len(v), tables, k) << np.arange(k)).sum(axis=2).astype(np.int32)
+
+
 def collision_counts(a: np.ndarray, b: np.ndarray, half: float) -> np.ndarray:
     """Lines on which rows of ``a`` and ``b`` (projections) lie within ``half`` of each other.
 
@@ -77,7 +102,7 @@ def _valid(name: str):
     return F.col(name).isNotNull() & ~bad & F.exists(name, lambda x: x != 0)
 
 
-def vector_links(rows: DataFrame, cosine: float = COSINE, lines: int = LINES, half_width: float = HALF_WIDTH, block: int = BLOCK, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def vector_links(rows: DataFrame, cosine: float = COSINE, lines: int = LINES, half_width: float = HALF_WIDTH, block: int = BLOCK, miss: float = TABLE_MISS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """vec_id, n_links, component_id and kept of every row of ``rows`` (vec_id, embedding, label)."""
     least = least_collisions(lines, half_width)
     deviation = sqrt(2 - 2 * cosine)
@@ -88,34 +113,32 @@ def vector_links(rows: DataFrame, cosine: float = COSINE, lines: int = LINES, ha
     # one vector for all its copies; the key is checked by the vector itself
     distinct = base.where("ok").groupBy("label", "v").agg(F.count(F.lit(1)).alias("copies"), F.min("row_no").alias("node"), F.min("vec_id").alias("first"))
 
-    def on_first_line(batches):
+    kind = "float" if dict(rows.dtypes)["embedding"] == "array<float>" else "double"
+    distinct = durable(distinct.select("label", F.col("v").cast(f"array<{kind}>").alias("v"), F.size("v").alias("dim"), "copies", "node"), "distinct")
+    sizes = distinct.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("n"))
+
+    def dealt(batches):
+        """A row for each vector and table, with its buckets in all tables."""
         for batch in batches:
-            v = batch.column("v")
-            size = np.diff(v.offsets.to_numpy())
-            flat, start, place = v.values.to_numpy(), v.offsets.to_numpy()[:-1], np.zeros(len(size))
-            for d in np.unique(size):
-                rows_d = np.flatnonzero(size == d)
-                x = flat[start[rows_d][:, None] + np.arange(d)]
-                place[rows_d] = x @ directions(int(d), lines)[:, 0] / np.linalg.norm(x, axis=1)
-            yield batch.append_column("dim", pa.array(size.astype(np.int32))).append_column("place", pa.array(place))
-
-    schema = "label " + dict(distinct.dtypes)["label"] + ", v array<double>, copies bigint, node bigint, first bigint, dim int, place double"
-    distinct = durable(distinct.select("label", "v", "copies", "node", F.col("first").cast("bigint")).mapInArrow(on_first_line, schema), "distinct")
-    # blocks: equal counts along the first line of each label, from exact quantiles of its sorted ranks
-    n_of = distinct.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("place", F.lit([i / 256 for i in range(1, 256)]), F.lit(10_000)).alias("cuts"))
-    cut = distinct.join(n_of, ["label", "dim"]).withColumn("cell", F.size(F.filter("cuts", lambda c: c < F.col("place"))))
-    blocks_n = F.greatest(F.lit(1), F.ceil(F.col("n") / block))
-    cut = cut.withColumn("band", F.floor(F.col("cell") * F.least(blocks_n, F.lit(256)) / 256).cast("int"))
-    extra = F.greatest(F.lit(1), F.ceil(blocks_n / 256)).cast("int")
-    cut = cut.withColumn("block", F.col("band") * extra + F.pmod(F.xxhash64("node"), extra).cast("int")).select("label", "dim", "block", "node", "copies", "v", "place")
-    cut = durable(cut, "blocks")
-    ends = cut.groupBy("label", "dim", "block").agg(F.min("place").alias("low"), F.max("place").alias("high"))
-    left, right = ends.toDF("label", "dim", "i", "low_i", "high_i"), ends.toDF("label", "dim", "j", "low_j", "high_j")
-    apart = REACH * deviation
-    pairs = left.join(right, ["label", "dim"]).where("i <= j").where((F.col("low_j") <= F.col("high_i") + apart) & (F.col("low_i") <= F.col("high_j") + apart)).select("label", "dim", "i", "j")
-    pairs = durable(pairs, "pairs")
-    sides = pairs.select("label", "dim", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-    work = cut.join(sides, ["label", "dim", "block"]).select("label", "dim", "i", "j", "block", "node", "copies", "v")
+            number, size = batch.column("n").to_numpy(), batch.column("dim").to_numpy()
+            start = batch.column("v").offsets.to_numpy()[:-1]
+            flat = batch.column("v").values.to_numpy()
+            for n, d in {(int(x), int(y)) for x, y in zip(number, size, strict=True)}:
+                own = np.flatnonzero((number == n) & (size == d))
+                x = flat[start[own][:, None] + np.arange(d)].astype(np.float64)
+                codes = bucket_codes(x, *tables_for(n, cosine, block, miss))
+                for t in range(codes.shape[1]):
+                    part = batch.take(pa.array(own)).drop_columns(["n"])
+                    part = part.append_column("t", pa.array(np.full(len(own), t, np.int32))).append_column("code", pa.array(codes[:, t]))
+                    yield part.append_column("codes", pa.array([c.tobytes() for c in codes], pa.binary()))
+
+    known = distinct.join(bounded_broadcast(sizes, sizes.count(), broadcast_rows), ["label", "dim"]).select("label", "v", "dim", "copies", "node", "n")
+    bucket = ["label", "dim", "t", "code"]
+    spread = known.mapInArrow(dealt, f"label {dict(distinct.dtypes)['label']}, v array<{kind}>, dim int, copies bigint, node bigint, t int, code int, codes binary")
+    large = durable(spread.groupBy(*bucket).agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("u")).where("u > 1"), "large")
+    cut = spread.join(bounded_broadcast(large, large.count(), broadcast_rows), bucket, "left").withColumn("u", F.coalesce("u", F.lit(1)))
+    cut = cut.withColumn("block", F.pmod(F.xxhash64("node"), F.col("u")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("u") - 1)))
+    work = cut.select(*bucket, F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "copies", "v", "codes")
 
     def in_pair(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
@@ -123,7 +146,8 @@ def vector_links(rows: DataFrame, cosine: float = COSINE, lines: int = LINES, ha
         place = table.column("block").to_numpy()
         node, copies = table.column("node").to_numpy(), table.column("copies").to_numpy()
         v = table.column("v").combine_chunks()
-        v = np.asarray(v.flatten()).reshape(len(node), -1)
+        v = np.asarray(v.flatten()).reshape(len(node), -1).astype(np.float64)
+        codes, t = np.frombuffer(b"".join(table.column("codes").to_pylist()), np.int32).reshape(len(node), -1), table.column("t")[0].as_py()
         unit = v / np.linalg.norm(v, axis=1, keepdims=True)
         on_lines = unit @ directions(v.shape[1], lines)
         a, b = np.flatnonzero(place == i), np.flatnonzero(place == j)
@@ -134,6 +158,9 @@ def vector_links(rows: DataFrame, cosine: float = COSINE, lines: int = LINES, ha
         x, y = a[x], b[y]
         near = np.einsum("ij,ij->i", unit[x], unit[y]) >= cosine if len(x) else np.zeros(0, bool)
         x, y = x[near], y[near]
+        # a table before this one has had a pair that shares a bucket there
+        fresh = ~(codes[x, :t] == codes[y, :t]).any(axis=1)
+        x, y = x[fresh], y[fresh]
         links = np.bincount(x, copies[y], len(node)) + np.bincount(y, copies[x], len(node))
         root, out = np.arange(len(node)), []
         for s, t in zip(x, y, strict=True):
@@ -146,7 +173,7 @@ def vector_links(rows: DataFrame, cosine: float = COSINE, lines: int = LINES, ha
         number = np.concatenate([links[some], np.zeros(len(out))]).astype(np.int64)
         return pa.table({"node": pa.array(nodes, pa.int64()), "other": pa.array(others, pa.int64()), "n": pa.array(number, pa.int64())})
 
-    found = durable(work.groupBy("label", "dim", "i", "j").applyInArrow(in_pair, "node bigint, other bigint, n bigint"), "found")
+    found = durable(work.groupBy(*bucket, "i", "j").applyInArrow(in_pair, "node bigint, other bigint, n bigint"), "found")
     links = found.where("other is not null").select(F.col("node").alias("a"), F.col("other").alias("b"))
     touched = links.select(F.col("a").alias("v")).union(links.select(F.col("b").alias("v"))).distinct()
     roots = durable(connected_components(touched, links, "vec").withColumnRenamed("v", "n_id"), "roots")

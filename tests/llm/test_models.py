@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from beamrank.llm.quality import FEATURES, fit_forest, keep_good, score_documents, text_statistics
-from beamrank.llm.vectors import collision_counts, least_collisions, vector_links
+from beamrank.llm.vectors import collision_counts, least_collisions, tables_for, vector_links
 
 
 def rows():
@@ -92,3 +92,96 @@ def test_classifier_without_labels(spark):
     got = score_documents(docs, labels).collect()
     assert [r["score"] for r in got] == [0.5] * 4 and keep_good(docs, labels).columns == docs.columns
     assert keep_good(docs.where(F.lit(False)), labels).collect() == []
+
+
+def test_links_over_many_tables(spark):
+    """Recall against all pairs where buckets part a label: at the least 0.99, and no link below the threshold."""
+    rng = np.random.default_rng(8)
+    base = rng.standard_normal((400, 24))
+    data = [(i, [float(x) for x in np.float32(base[i // 4] + rng.standard_normal(24) * (0.15 + 0.05 * (i % 3)))], 0) for i in range(1600)]
+    df = spark.createDataFrame(data, "vec_id bigint, embedding array<float>, label int")
+    kept = [(r["vec_id"], list(r["embedding"]), r["label"]) for r in df.collect()]
+    unit = np.array([v for _, v, _ in kept])
+    unit /= np.linalg.norm(unit, axis=1, keepdims=True)
+    true = (unit @ unit.T >= 0.93).sum(axis=1) - 1
+    got = {r["vec_id"]: r["n_links"] for r in vector_links(df, block=64).collect()}
+    found = np.array([got[i] for i, _, _ in kept])
+    assert tables_for(1600, 0.93, 64)[0] >= 4 and (found <= true).all() and found.sum() >= 0.99 * true.sum() > 500
+
+
+def test_null_and_repeated_vector_ids(spark):
+    rows = [(None, [1.0, 2.0], 0), (7, [1.0, 2.0], 0), (7, [1.0, 2.0], 0), (None, None, 0), (9, [2.0, -1.0], 0)]
+    got = sorted((str(r["vec_id"]), r["n_links"], str(r["component_id"]), r["kept"]) for r in vector_links(spark.createDataFrame(rows, "vec_id bigint, embedding array<double>, label int")).collect())
+    assert got == [("7", 2, "7", True), ("7", 2, "7", True), ("9", 0, "9", True), ("None", 0, "None", True), ("None", 2, "7", False)]
+
+
+def test_tables_keep_their_promise():
+    for n in (10, 1024, 5000, 10**6, 10**9):
+        k, tables = tables_for(n, 0.93, 1024)
+        assert tables <= 64 and (1 - (1 - np.arccos(0.93) / np.pi) ** k) ** tables <= 1e-4 * (k > 0) + (k == 0) * 0.0 + 1e-12
+
+
+def test_forest_equals_trees_walked_one_by_one():
+    """Scores of flattened trees against a plain walk, and the first split against a search over all of them."""
+    rng = np.random.default_rng(4)
+    x = rng.random((500, 3)).astype(np.float32)
+    y = (x[:, 1] + 0.2 * rng.standard_normal(500) > 0.6).astype(float)
+    forest = fit_forest(x, y, trees=7, depth=3, bins=16)
+
+    def walk(row):
+        total = forest.base
+        for t in range(len(forest.leaf)):
+            at = 0
+            for _ in range(3):
+                at = 2 * at + 1 + int(row[forest.feature[t, at]] > forest.threshold[t, at])
+            total += forest.leaf[t, at - forest.feature.shape[1]]
+        return 1 / (1 + np.exp(-total))
+
+    assert np.allclose(forest.score(x[:50]), [walk(r) for r in x[:50]])
+    p = y.mean()
+    best = (0, None, None)
+    for f in range(3):
+        for edge in np.unique(np.quantile(x[:, f], np.linspace(0, 1, 17)[1:-1])):
+            left = x[:, f] <= edge
+            gain = sum(((p - y[side]).sum()) ** 2 / (side.sum() * p * (1 - p) + 1.0) for side in (left, ~left))
+            best = max(best, (gain, f, edge), key=lambda b: b[0])
+    assert forest.feature[0, 0] == best[1] and np.isclose(forest.threshold[0, 0], best[2])
+
+
+def brute_statistics(text):
+    words = (text or "").split()
+    pairs = list(zip(words, words[1:], strict=False))
+    n, w = max(1, len((text or "").encode())), max(1, len(words))
+    return {
+        "log_words": np.log1p(len(words)), "upper": sum(c in "ABCDEFGHIJKLMNOPQRSTUVWXYZ" for c in text or "") / n, "distinct_words": len(set(words)) / w,
+        "repeats": sum(a == b for a, b in pairs) / w, "distinct_pairs": len(set(pairs)) / w, "lines": (text or "").count("\n") / w, "long_words": sum(len(x.encode()) > 20 for x in words) / w,
+    }
+
+
+@pytest.mark.parametrize("window", [1, 5, 64, 1 << 20])
+def test_statistics_of_windows(window):
+    texts = ["a a b a\nB B! ..", None, "", "x" * 90 + " y", "one two one two one two three", " \n "]
+    got = text_statistics(pa.array(texts), window)
+    for row, t in zip(got, texts, strict=True):
+        assert all(np.isclose(dict(zip(FEATURES, row, strict=True))[k], v, atol=1e-6) for k, v in brute_statistics(t).items())
+
+
+def test_a_long_text_needs_little_memory():
+    """50 MB in one text, in a process of its own: statistics, shingles, tokens and token ids stay below 1 GB."""
+    import subprocess
+    import sys
+
+    code = """
+import resource, pyarrow as pa
+from beamrank.llm import near_dedup, ngrams, quality, tokens
+text = pa.array([' '.join(f'w{i * i % 100003}' for i in range(500_000)) * 15])
+assert len(text[0].as_py()) > 48e6
+if {n} == 0: quality.text_statistics(text)
+if {n} == 1: near_dedup.bag_minhash(*near_dedup.shingles(text), 1, 125)
+if {n} == 2: assert sum(len(t) for t, _, _ in ngrams.token_windows(text)) > 7e6
+if {n} == 3: assert len(tokens.PieceEncoder(tokens.vocabulary('word_bpe_49k.json')).encode(text)[0]) > 7e6
+print(resource.getrusage(resource.RUSAGE_SELF).ru_maxrss // 1000)
+"""
+    for n in range(4):
+        out = subprocess.run([sys.executable, "-c", code.replace("{n}", str(n))], capture_output=True, text=True, check=True)
+        assert int(out.stdout.split()[-1]) < 1000
