@@ -1,7 +1,8 @@
 """Rerankers: a beam in, one candidate out.
 
-Choices are minima of packed numbers (verdict, then rank, then identifier), so that the aggregate is
-a hash aggregate with map-side combination. Texts are joined back by identifier afterwards.
+Choices by verdict and rank are minima of packed numbers, so that the aggregate is a hash aggregate
+with map-side combination; choices by score order by score and rank within each beam. Texts are joined
+back by identifier afterwards.
 """
 
 from __future__ import annotations

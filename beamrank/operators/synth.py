@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from beamrank.sources.io import small
 from beamrank.sources.tables import table
 
 #: Templates: difficulty, question and SQL with one slot, and the column whose values fill it.
@@ -25,7 +26,7 @@ def number(*parts: Column) -> Column:
 
 
 def values(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """template, rank from 0, value and number of values. Columns are categories: few values, broadcast."""
+    """template, rank from 0, value and number of values. Columns are categories: few values, broadcast if they are."""
     out = None
     for i, (_, _, _, (t, c)) in enumerate(TEMPLATES):
         one = table(spark, sf_dir, t).select(F.col(c).alias("value")).distinct()
@@ -36,9 +37,9 @@ def values(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def generate(spark: SparkSession, sf_dir: str, n: int, seed: int = 42) -> DataFrame:
     """``n`` pairs of templates and values from the tables, by hash of their numbers; with duplicates."""
-    filled = F.broadcast(values(spark, sf_dir))
+    filled = small(values(spark, sf_dir), "values")
     forms = F.broadcast(spark.createDataFrame([(i, d, q, s) for i, (d, q, s, _) in enumerate(TEMPLATES)], "template int, difficulty string, q string, s string"))
-    counts = F.broadcast(values(spark, sf_dir).groupBy("template").agg(F.max("of").alias("n_values")))
+    counts = F.broadcast(filled.groupBy("template").agg(F.max("of").alias("n_values")))  # a row for each template
     ids = spark.range(n).select(F.col("id").alias("pair_id"), (number(F.col("id").cast("string"), F.lit(str(seed))) % len(TEMPLATES)).cast("int").alias("template"))
     slots = ids.join(counts, "template").withColumn("rank", (number(F.col("pair_id").cast("string"), F.lit(f"v{seed}")) % F.col("n_values")).cast("int"))
     rows = slots.join(filled, ["template", "rank"]).join(forms, "template")

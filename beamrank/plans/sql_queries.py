@@ -12,7 +12,7 @@ from beamrank.operators import execute
 from beamrank.operators.generators import candidates
 from beamrank.plans.registry import query
 from beamrank.operators.lattice import OWNER
-from beamrank.plans.text_queries import gold_table
+from beamrank.plans.text_queries import PAIRS_SQL, gold_table
 from beamrank.sources.catalogue import GOLD
 from beamrank.sources.tables import FOREIGN_KEYS, table
 
@@ -61,7 +61,7 @@ def sql_parts(spark, d):
     return gold_table(spark).withColumn("p", sql_parts_udf("sql")).select("gold_id", *[F.array_join(f"p.{f}", " ; ").alias(f"in_{f}") for f in sqlshape.FIELDS], F.col("p.nested").alias("nested"))
 
 
-@query("udf_sql_parts")
+@query("udf_sql_parts", "select s like 'select %' and length(replace(s, '(', '')) = length(replace(s, ')', '')) as parsed, count(*) as texts from (values " + ", ".join("('" + q.replace("'", "''") + "')" for q in dict.fromkeys(q for _, _, q in candidates())) + ") as t(s) group by parsed")
 def udf_sql_parts(spark, d):
     return _candidates(spark).select("sql").distinct().withColumn("p", sql_parts_udf("sql")).groupBy(F.col("p.ok").alias("parsed")).agg(F.count(F.lit(1)).alias("texts"))
 
@@ -77,7 +77,11 @@ def em_accuracy(spark, d):
     return _em(_compared(spark)).groupBy("kind").agg(F.count_if("em").alias("matches"), F.count(F.lit(1)).alias("candidates"))
 
 
-@query("em_ignore_values")
+#: With values masked, other numbers make no difference either.
+EM_MASKED_SQL = EM_SQL.replace(str(KEEPS), str((*KEEPS, "literal", "limit")))
+
+
+@query("em_ignore_values", EM_MASKED_SQL)
 def em_ignore_values(spark, d):
     return _em(_compared(spark, True)).groupBy("kind").agg(F.count_if("em").alias("matches"), F.count(F.lit(1)).alias("candidates"))
 
@@ -156,7 +160,7 @@ def ex_ordered(spark, d):
     return spark.createDataFrame([(g, k, prints[q] is not None and prints[q] == golds[g]) for g, k, q in rows], "gold_id string, kind string, ex boolean")
 
 
-@query("em_ex_confusion")
+@query("em_ex_confusion", EX + f" select kind in {KEEPS} as em, count(*) filter (ex) as ex_right, count(*) filter (not ex) as ex_wrong from ex group by 1")
 def em_ex_confusion(spark, d):
     em = _em(_compared(spark)).select("gold_id", "sql", "em")
     return execute.label_table(spark, d).join(em, ["gold_id", "sql"]).groupBy("em").pivot("ex", [True, False]).agg(F.count(F.lit(1))).na.fill(0).withColumnsRenamed({"true": "ex_right", "false": "ex_wrong"})
@@ -200,7 +204,7 @@ def ir_compactness(spark, d):
     return rows.agg(F.count(F.lit(1)).alias("queries"), F.sum("ir.n_ir").alias("ir_tokens"), F.sum("ir.n_sql").alias("sql_tokens"), F.round(F.sum("ir.n_ir") / F.sum("ir.n_sql"), 6).alias("ratio"))
 
 
-@query("synth_executable")
+@query("synth_executable", f"with {PAIRS_SQL} select distinct sql, true as runs from pairs")
 def synth_executable(spark, d):
     """Distinct generated queries that run; each distinct text is analysed once."""
     from beamrank.operators import synth

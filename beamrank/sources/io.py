@@ -8,6 +8,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
@@ -30,6 +31,12 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def small(df: DataFrame, name: str, limit: int = 100_000) -> DataFrame:
+    """``df``, stored, with the hint of a broadcast only if it has no more than ``limit`` rows."""
+    kept = stored(df, name)
+    return F.broadcast(kept) if kept.limit(limit + 1).count() <= limit else kept
+
+
 def csv_round_trip(df: DataFrame) -> DataFrame:
     path = shared_folder(df.sparkSession, "csv")
     df.write.option("header", True).csv(path)
