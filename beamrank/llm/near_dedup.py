@@ -176,17 +176,27 @@ def candidate_links(signed: DataFrame, bands: int = BANDS, rows: int = ROWS) ->
     return keys.join(hubs, "key").where("h <> a").select("a", F.col("h").alias("b")).distinct()
 
 
-def _links_in_group(h: np.ndarray, side: np.ndarray, sig: np.ndarray, bags: list, threshold: float) -> list[tuple[int, int]]:
-    """Links that connect what the pairs of this group connect. Pairs within side 1 are left out."""
+def _links_in_group(h: np.ndarray, side: np.ndarray, sig: np.ndarray, bags_of, threshold: float) -> list[tuple[int, int]]:
+    """Links that connect what the pairs of this group connect. Pairs within side 1 are left out.
+
+    ``bags_of`` gives the multisets of some of the texts: only of those that look near to another one by their signatures.
+    """
     n, registers = len(h), sig.shape[1]
-    floor = threshold - 5 * np.sqrt(threshold * (1 - threshold) / registers)
+    floor = registers * (threshold - 5 * np.sqrt(threshold * (1 - threshold) / registers))
+    looks: list[np.ndarray] = []
+    for i in range(n):
+        later = np.arange(i + 1, n)
+        later = later[(side[later] == 0) | (side[i] == 0)]
+        looks.append(later[np.count_nonzero(sig[later] == sig[i], axis=1) >= floor])
+    needed = np.unique(np.concatenate([np.flatnonzero([len(x) > 0 for x in looks]), *looks]).astype(np.int64))
+    bags = dict(zip(needed.tolist(), bags_of(needed), strict=True))
     root, links = np.arange(n), []
-    mass = np.array([c.sum() for _, c in bags])
+    mass = np.zeros(n, np.int64)
+    mass[needed] = [bags[i][1].sum() for i in needed.tolist()]
     for i in range(n):
-        others = np.flatnonzero((root != root[i]) & (np.arange(n) > i) & ((side == 0) | (side[i] == 0)))
+        others = looks[i][root[looks[i]] != root[i]]
         others = others[np.minimum(mass[others], mass[i]) >= threshold * np.maximum(mass[others], mass[i])]
-        others = others[(sig[others] == sig[i]).mean(axis=1) >= floor] if len(others) else others
-        for j in others:
+        for j in others.tolist():
             if root[j] != root[i] and similarity(bags[i], bags[j]) >= threshold:
                 root[root == root[j]] = root[i]
                 links.append((int(h[i]), int(h[j])))
@@ -249,7 +259,8 @@ def verified_links(docs: DataFrame, signed: DataFrame, links: DataFrame, words:
         table = table.take(pa.array(first))
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint32).reshape(len(h), bands * rows)
         textkit.trim()
-        found = _links_in_group(h, table.column("side").to_numpy(), sig, _bags(table.column("text").combine_chunks(), words), threshold)
+        text = table.column("text").combine_chunks()
+        found = _links_in_group(h, table.column("side").to_numpy(), sig, lambda rows: _bags(text.take(pa.array(rows)), words), threshold)
         return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([x for _, x in found], pa.int64())})
 
     groups = small.union(among).union(open_side).union(done_side)

@@ -23,7 +23,7 @@ from bisect import bisect_right
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from beamrank.llm.common import durable, text_or_empty
+from beamrank.llm.common import bounded_broadcast, durable, text_or_empty
 
 KEY_BITS = 60
 #: The low bits of a key, which tell rows of a group apart.
@@ -33,6 +33,9 @@ SHARDS = 40
 PROBES = 1024
 #: Sub-ranges of each shard that are put in order on their own.
 PIECES = 64
+#: Rows that one task should put in order; a sub-range with more is cut at quantiles of its keys, as many texts may be equal.
+PIECE_ROWS = 1_000_000
+CUTS = 1000
 
 
 def hash_bits(value: Column, digits: int) -> Column:
@@ -125,11 +128,12 @@ def _counts(rows: DataFrame, ranges: list[tuple[int, int, int]], probes: int) ->
     )
 
 
-def histogram_shards(rows: DataFrame, shards: int, tolerance: float = 0.0, probes: int = PROBES, pieces: int = PIECES) -> DataFrame:
+def histogram_shards(rows: DataFrame, shards: int, tolerance: float = 0.0, probes: int = PROBES, pieces: int = PIECES, piece_rows: int = PIECE_ROWS) -> DataFrame:
     """``rows`` with ``shard`` and ``slot`` (place within the shard in key order, gapless from 0).
 
     Slots come from ranks within sub-ranges of a shard and the counts of the sub-ranges before, so
-    that no task has to hold a whole shard. There are shards * pieces such counts.
+    that no task has to hold a whole shard. There are shards * pieces such counts, and up to CUTS for
+    a sub-range of more than ``piece_rows`` rows, as of a short text that very many rows have.
     """
     splitters = between_groups(rows, histogram_splitters(rows, shards, tolerance, probes), shards)
     edges = [0, *splitters, 1 << KEY_BITS]
@@ -138,11 +142,22 @@ def histogram_shards(rows: DataFrame, shards: int, tolerance: float = 0.0, probe
     placed = rows.withColumn("shard", _step(F.col("key"), splitters).cast("int")).withColumn(
         "piece", F.least(F.lit(pieces - 1), F.floor((F.col("key") - lo) / width * pieces)).cast("int")
     )
-    before = Window.partitionBy("shard").orderBy("piece").rowsBetween(Window.unboundedPreceding, -1)
-    starts = placed.groupBy("shard", "piece").count().select("shard", "piece", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
-    inside = Window.partitionBy("shard", "piece").orderBy("key", "doc_id")
+    large = durable(placed.groupBy("shard", "piece").count().where(F.col("count") > piece_rows).drop("count"), "large")
+    if large.isEmpty():
+        placed = placed.withColumn("part", F.lit(0))
+    else:
+        # no more rows than shards * pieces, each with CUTS keys
+        shares = F.array(*[F.lit(i / CUTS) for i in range(1, CUTS)])
+        cuts = placed.join(F.broadcast(large), ["shard", "piece"]).groupBy("shard", "piece").agg(F.percentile_approx("key", shares, F.lit(10 * CUTS)).alias("cuts"))
+        known = placed.join(F.broadcast(durable(cuts, "cuts")), ["shard", "piece"], "left")
+        placed = known.withColumn("part", F.coalesce(F.size(F.filter("cuts", lambda c: c <= F.col("key"))), F.lit(0))).drop("cuts")
+        placed = placed.withColumn("part", F.greatest("part", F.lit(0)))
+    before = Window.partitionBy("shard").orderBy("piece", "part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = durable(placed.groupBy("shard", "piece", "part").count().select("shard", "piece", "part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first")), "starts")
+    inside = Window.partitionBy("shard", "piece", "part").orderBy("key", "doc_id")
     ranked = placed.withColumn("place", F.row_number().over(inside) - 1)
-    return ranked.join(F.broadcast(starts), ["shard", "piece"]).withColumn("slot", (F.col("first") + F.col("place")).cast("bigint")).drop("piece", "place", "first")
+    starts = bounded_broadcast(starts, starts.count())
+    return ranked.join(starts, ["shard", "piece", "part"]).withColumn("slot", (F.col("first") + F.col("place")).cast("bigint")).drop("piece", "part", "place", "first")
 
 
 def shard_documents(docs: DataFrame, shards: int = SHARDS, tolerance: float = 0.0) -> DataFrame:
