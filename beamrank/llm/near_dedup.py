@@ -41,7 +41,7 @@ THRESHOLD = 0.8
 BANDS, ROWS = 25, 5
 BLOCK = 256
 #: Bytes of text that a block may have, about: blocks of long texts have fewer of them.
-BLOCK_BYTES = 8 << 20
+BLOCK_BYTES = 4 << 20
 #: Narrow enough for the arrays of a slice to stay small.
 SLICE_BYTES = 2 << 20
 
@@ -54,7 +54,7 @@ _C = [np.uint64(0x9E3779B97F4A7C15 * (2 * i + 1) & (1 << 64) - 1) for i in range
 def shingles(column: pa.Array, words: int = WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Document, hash and count of each distinct run of words of each text. Words are hashed window by window."""
     hashes, docs = [np.empty(0, np.uint64)], [np.empty(0, np.int32)]
-    for first, buf, offsets in textkit.windows(column, SLICE_BYTES):
+    for first, buf, offsets in textkit.windows(column, textkit.WINDOW_BYTES):
         begin, end, own = textkit.words(buf, offsets)
         hashes.append(textkit.span_hashes(buf, begin, end))
         docs.append((own + first).astype(np.int32))

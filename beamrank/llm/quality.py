@@ -56,7 +56,7 @@ def _sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 _SIZE, _WORDS, _CLASSES, _LINES, _DISTINCT, _SAME, _PAIRS, _CAPITAL, _SIGNED, _LONE, _LONG = 0, 1, slice(2, 7), 7, 8, 9, 10, 11, 12, 13, 14
 
 
-def text_statistics(column: pa.Array, window: int = SLICE_BYTES) -> np.ndarray:
+def text_statistics(column: pa.Array, window: int = textkit.WINDOW_BYTES) -> np.ndarray:
     """One row of FEATURES for each text, from sums over windows of at most ``window`` bytes.
 
     Of a text that lies in several windows, the last word is carried on, and its distinct words and

@@ -15,6 +15,8 @@ import pyarrow.compute as pc
 
 #: Bytes of text handled at once; a longer text is a slice of its own.
 SLICE_BYTES = 8 << 20
+#: Bytes whose words are hashed at once: the arrays for it are some fifty times as large.
+WINDOW_BYTES = 512 << 10
 
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True

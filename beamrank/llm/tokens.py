@@ -24,10 +24,10 @@ import pyarrow as pa
 from beamrank.llm import textkit
 
 #: Distinct pieces a worker keeps, about 50 bytes each.
-CACHE_PIECES = 1_500_000
+CACHE_PIECES = 600_000
 
 #: Bytes of text encoded at once.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 
 #: 0 stands for bytes beside which no text is cut by the table.
 _LETTER, _DIGIT, _SIGN, _BLANK, _QUOTE = 1, 2, 3, 4, 5
