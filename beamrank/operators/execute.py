@@ -9,6 +9,7 @@ batch; only SELECT and WITH are accepted.
 from __future__ import annotations
 
 import re
+from concurrent.futures import ThreadPoolExecutor
 from functools import reduce
 
 from pyspark.errors import (
@@ -21,6 +22,8 @@ from pyspark.sql import functions as F
 from beamrank.sources.tables import TABLES, table
 
 BATCH = 24
+#: Batches that are planned and run at once.
+JOBS = 4
 
 
 def register(spark: SparkSession, sf_dir: str) -> None:
@@ -99,8 +102,9 @@ def fingerprints(spark: SparkSession, sf_dir: str, sqls: list[str], ordered: boo
             out[sql] = None
         else:
             ready.append((i, df))
-    for at in range(0, len(ready), BATCH):
-        out |= {sqls[i]: found for i, found in _run(ready[at : at + BATCH], ordered).items()}
+    with ThreadPoolExecutor(JOBS) as pool:
+        for found in pool.map(lambda at: _run(ready[at : at + BATCH], ordered), range(0, len(ready), BATCH)):
+            out |= {sqls[i]: row for i, row in found.items()}
     return out
 
 

@@ -149,6 +149,17 @@ def gain_curve_sql(spark, d):
     return each.groupBy("backbone", "mask", "k").agg(hit.alias("covered"), F.round(hit / N, 6).alias("share"))
 
 
+#: How many candidates count when systems are compared by what their beams could give.
+POTENTIAL = 3
+
+
+@query("best_by_potential_sql", lambda: _items_sql(ALL) + f", f as (select backbone || mask as system, gold_id, min(pos) filter (ok) as p from items group by all), s as (select system, round(count(*) filter (p <= {POTENTIAL}) / {N}, 6) as share from f group by system) select arg_max(system, (share, system)) as system, max(share) as share from s")
+def best_by_potential_sql(spark, d):
+    """The system whose first candidates hold the right query most often: the one to learn rerankers from."""
+    curves = gain_curve_sql(spark, d).withColumn("system", F.concat(F.col("backbone"), F.col("mask").cast("string")))
+    return beams.best_by_potential(curves, POTENTIAL)
+
+
 @query("alg_ir_versions")
 def alg_ir_versions(spark, d):
     """Coverage and top-1 of three ways to put the IR into the algebra backbone, beside the plain one."""
