@@ -58,7 +58,13 @@ def reorder_geometric(spark, d):
     return beams.reorder_geometric(beams.first_k(line_beams(spark, d), 5)).select("beam_id", "pos", "item_id", "new_pos")
 
 
-@query("reorder_geometric_anchor")
+WALK_SQL = LINE + """, sized as (select *, least(count(*) over (partition by beam_id), 5) - min(case when correct then pos end) over (partition by beam_id) + 1 as room, min(case when correct then pos end) over (partition by beam_id) as start from line_beams where pos <= 5),
+coins as (select distinct beam_id, room, start, """ + ", ".join(f"{COIN.format(chr(39).join(['beam_id || ', '|' + str(i), '']))} < 0.7 as keep{i}" for i in range(1, 5)) + """ from sized),
+walks as (select beam_id, start + least(room - 1, case when keep1 then 0 when keep2 then 1 when keep3 then 2 when keep4 then 3 else 4 end) as goal from coins)
+select beam_id, pos, item_id, (case when pos = start then goal when pos > start and pos <= goal then pos - 1 else pos end)::int as new_pos from sized join walks using (beam_id)"""
+
+
+@query("reorder_geometric_anchor", WALK_SQL)
 def reorder_geometric_anchor(spark, d):
     """The same walk from the first correct item, wherever it stands."""
     moved = beams.reorder_geometric(beams.first_k(line_beams(spark, d), 5), anchor="first_correct")

@@ -95,6 +95,17 @@ def _items_sql(systems) -> str:
     return f"with {_ex_table(_numbers())}, items as (select * from (values {', '.join(_quoted(*r) for r in rows)}) as v(backbone, mask, gold_id, pos, n, em) join ex using (n))"
 
 
+def _trained_sql(configs, name: str) -> str:
+    """items of the beams of configurations, with one of their fields by its name."""
+    fields = [c.split()[0] for c in lattice.CONFIG.split(", ")]
+    rows = []
+    for c in configs:
+        f = dict(zip(fields, c, strict=True))
+        found = lattice.beams_of(f["backbone"], f["mask"], f["fold"], f["version"], share=f["share"], mix=f["mix"], stages=f["stages"])
+        rows += [(f["backbone"], f[name], g, pos, _numbers()[g, q], em) for g, pos, q, _, em in found]
+    return f"with {_ex_table(_numbers())}, items as (select * from (values {', '.join(_quoted(*r) for r in rows)}) as v(backbone, {name}, gold_id, pos, n, em) join ex using (n))"
+
+
 SCORES = f"round(count(*) filter (ok) / {N}, 6) as ex, round(count(*) filter (em) / {N}, 6) as em"
 
 
@@ -160,11 +171,13 @@ def best_by_potential_sql(spark, d):
     return beams.best_by_potential(curves, POTENTIAL)
 
 
-@query("alg_ir_versions")
+VERSIONS = lattice.configurations([("alg", 0)], ("plain",)) + lattice.configurations([("alg", IR)], ("v1", "v2", "v3"))
+
+
+@query("alg_ir_versions", lambda: _trained_sql(VERSIONS, "version") + f", f as (select version, gold_id, arg_min(ok, pos) as top, bool_or(ok) as hit from items group by all) select version, round(count(*) filter (top) / {N}, 6) as top1, round(count(*) filter (hit) / {N}, 6) as coverage from f group by version")
 def alg_ir_versions(spark, d):
     """Coverage and top-1 of three ways to put the IR into the algebra backbone, beside the plain one."""
-    configs = lattice.configurations([("alg", 0)], ("plain",)) + lattice.configurations([("alg", IR)], ("v1", "v2", "v3"))
-    one = _beams(spark, d, configs).groupBy("version", "gold_id").agg(F.min_by("ex", "pos").alias("top"), F.bool_or("ex").alias("hit"))
+    one = _beams(spark, d, VERSIONS).groupBy("version", "gold_id").agg(F.min_by("ex", "pos").alias("top"), F.bool_or("ex").alias("hit"))
     return one.groupBy("version").agg(_share("top").alias("top1"), _share("hit").alias("coverage"))
 
 
@@ -206,14 +219,38 @@ def verifier_sql_scores(spark, d):
     return _judged(spark, d).select("origin", "gold_id", "pos", "trained_on", "with_schema", F.round("prob", 6).alias("prob"), "ex")
 
 
-@query("verifier_sql_prf")
+def _judged_sql() -> str:
+    rows = []
+    for o in ORIGINS:
+        for g, _, q, _ in lattice.verifier_rows(o):
+            rows += [(t, o, schema, _numbers()[g, q], lattice.verdict(t, schema, g, q) >= 0.5) for t in ORIGINS for schema in (True, False)]
+    return (
+        f"with {_ex_table(_numbers())}, j as (select * from (values {', '.join(_quoted(*r) for r in rows)}) as v(trained_on, applied_to, with_schema, n, verified) join ex using (n)), "
+        "k as (select trained_on, applied_to, with_schema, count(*) filter (verified and ok) as tp, count(*) filter (verified and not ok) as fp, count(*) filter (not verified and ok) as fn, count(*) filter (not verified and not ok) as tn from j group by all), "
+        "prf as (select *, round(tp / nullif(tp + fp, 0), 6) as precision, round(tp / nullif(tp + fn, 0), 6) as recall, round(2 * tp / nullif(2 * tp + fp + fn, 0), 6) as f1 from k)"
+    )
+
+
+@query("verifier_sql_prf", lambda: _judged_sql() + " select * from prf")
 def verifier_sql_prf(spark, d):
     """Precision, recall and F1 of the verifiers: by origin of their training beams, origin of the beams judged, and use of the schema."""
     rows = _judged(spark, d).withColumn("verified", F.col("prob") >= 0.5).withColumn("correct", F.col("ex"))
     return metrics.prf(rows.withColumnRenamed("origin", "applied_to"), "trained_on", "applied_to", "with_schema")
 
 
-@query("selector_grid_sql")
+def _selected(order: str, k: int, origin: str) -> list[tuple[str, str]]:
+    """(question, query) that a selector takes from each beam of its origin, gold query included."""
+    out = []
+    for g, found in lattice._by_question(lattice.system(*ORIGINS[origin])).items():
+        rows = lattice._gold_in(found, GOLD_OF[g], k, False)
+        out.append((g, rows[lattice.choice(origin, k, order, g, [q for q, _ in rows])][0]))
+    return out
+
+
+GRID = [(order, k, origin) for order in ("random", "geometric") for k in (5, 2) for origin in ORIGINS]
+
+
+@query("selector_grid_sql", lambda: f"with {_ex_table(_numbers())}, t as (select * from (values " + ", ".join(_quoted(*c, _numbers()[x]) for c in GRID for x in _selected(*c)) + f') as v("order", k, origin, n) join ex using (n)) select "order", k, origin, round(count(*) filter (ok) / {N}, 6) as accuracy from t group by all')
 def selector_grid_sql(spark, d):
     """Accuracy of selectors from random and geometric orders, five and two candidates, beams of either origin."""
 
@@ -221,12 +258,10 @@ def selector_grid_sql(spark, d):
         for b in batches:
             out = []
             for c in b.itertuples(index=False):
-                for g, found in lattice._by_question(lattice.system(*ORIGINS[c.origin])).items():
-                    rows = lattice._gold_in(found, GOLD_OF[g], c.k, False)
-                    out.append((c.order, c.k, c.origin, g, rows[lattice.choice(c.origin, c.k, c.order, g, [q for q, _ in rows])][0]))
+                out += [(c.order, c.k, c.origin, *x) for x in _selected(c.order, c.k, c.origin)]
             yield pd.DataFrame(out, columns=["order", "k", "origin", "gold_id", "sql"])
 
-    grid = spark.createDataFrame([(o, k, g) for o in ("random", "geometric") for k in (5, 2) for g in ORIGINS], "order string, k int, origin string").repartition(8)
+    grid = spark.createDataFrame(GRID, "order string, k int, origin string").repartition(8)
     taken = grid.mapInPandas(run, "order string, k int, origin string, gold_id string, sql string").join(_verdicts(spark, d), ["gold_id", "sql"])
     return taken.groupBy("order", "k", "origin").agg(_share("ex").alias("accuracy"))
 
@@ -297,22 +332,31 @@ def _trained(spark, d, configs, *by):
     return one.groupBy(*by).agg(_share("ex").alias("ex"), _share("em").alias("em"))
 
 
-@query("synth_size_training")
+SIZES = lattice.configurations([("alg", GS), ("seq", GS)], shares=(0.0, 0.1, 0.25, 0.5, 1.0))
+
+
+@query("synth_size_training", lambda: _trained_sql(SIZES, "share") + f" select backbone, share::double as share, {SCORES} from items where pos = 1 group by backbone, share")
 def synth_size_training(spark, d):
     """Accuracy after training on growing shares of the synthetic pairs, and then on the gold pairs."""
-    return _trained(spark, d, lattice.configurations([("alg", GS), ("seq", GS)], shares=(0.0, 0.1, 0.25, 0.5, 1.0)), "backbone", "share")
+    return _trained(spark, d, SIZES, "backbone", "share")
+
 
+MIXES = lattice.configurations([("alg", GS), ("seq", GS)], mixes=("easy", "medium", "hard", "all"))
 
-@query("synth_difficulty_training")
+
+@query("synth_difficulty_training", lambda: _trained_sql(MIXES, "mix") + f" select backbone, mix, {SCORES} from items where pos = 1 group by backbone, mix")
 def synth_difficulty_training(spark, d):
     """Accuracy after training on synthetic pairs of one difficulty, or of all."""
-    return _trained(spark, d, lattice.configurations([("alg", GS), ("seq", GS)], mixes=("easy", "medium", "hard", "all")), "backbone", "mix")
+    return _trained(spark, d, MIXES, "backbone", "mix")
+
+
+STAGES = lattice.configurations([("alg", GS), ("seq", GS)], stages=("synthetic", "gold", "both"))
 
 
-@query("two_stage_accuracy")
+@query("two_stage_accuracy", lambda: _trained_sql(STAGES, "stages") + f" select backbone, stages, {SCORES} from items where pos = 1 group by backbone, stages")
 def two_stage_accuracy(spark, d):
     """After the synthetic pairs alone, the gold pairs alone, and one after the other."""
-    return _trained(spark, d, lattice.configurations([("alg", GS), ("seq", GS)], stages=("synthetic", "gold", "both")), "backbone", "stages")
+    return _trained(spark, d, STAGES, "backbone", "stages")
 
 
 def measured_scores(spark, d):
@@ -324,46 +368,55 @@ def measured_scores(spark, d):
     return each.select("backbone", "rr_origin", F.expr("stack(2, 'EX', EX, 'EM', EM) as (metric, value)"), (F.col("mask") + bit).alias("mask"))
 
 
-@query("measured_lattice", lambda: _choices_sql(rerankers=("none", "selector")) + f""", s as (select backbone, mask, origin, 100 * count(*) filter (ok) / {N} as ex, 100 * count(*) filter (em) / {N} as em from c group by all),
-o as (select *, unnest(case when origin = 'none' then ['alg', 'seq'] else [origin] end) as rr_origin from s), m as (select unnest(['EX', 'EM']) as metric)
-select backbone, rr_origin, metric, round(case metric when 'EX' then ex else em end, 6) as value, (mask + case origin when 'none' then 0 else 8 end)::int as mask from o, m""")
+def _lattice_sql() -> str:
+    """scores(backbone, rr_origin, metric, value, mask): the measured lattice."""
+    return _choices_sql(rerankers=("none", "selector")) + f""", s as (select backbone, mask, origin, 100 * count(*) filter (ok) / {N} as ex, 100 * count(*) filter (em) / {N} as em from c group by all),
+o as (select *, unnest(case when origin = 'none' then ['alg', 'seq'] else [origin] end) as rr_origin from s), m as (select unnest(['EX', 'EM']) as metric),
+scores as (select backbone, rr_origin, metric, case metric when 'EX' then ex else em end as value, (mask + case origin when 'none' then 0 else 8 end)::int as mask from o, m),
+players(player, bit) as (values ('ir', 1), ('gs', 2), ('pp', 4), ('rr', 8)),
+marg as (select a.backbone, a.rr_origin, a.metric, player, a.mask as context, b.value - a.value as delta
+         from scores a, players, scores b where a.backbone = b.backbone and a.rr_origin = b.rr_origin and a.metric = b.metric and a.mask & bit = 0 and b.mask = a.mask | bit),
+phi as (select backbone, rr_origin, metric, player, round(sum(delta * case bit_count(context) when 0 then 1.0::double / 4 when 3 then 1.0::double / 4 else 1.0::double / 12 end), 6) as phi from marg group by all)"""
+
+
+@query("measured_lattice", lambda: _lattice_sql() + " select backbone, rr_origin, metric, round(value, 6) as value, mask from scores")
 def measured_lattice(spark, d):
     return measured_scores(spark, d).withColumn("value", F.round("value", 6))
 
 
-@query("shapley_measured")
+@query("shapley_measured", lambda: _lattice_sql() + " select * from phi")
 def shapley_measured(spark, d):
     """Exact Shapley values of the four components over the measured lattice."""
     return shapley.exact(measured_scores(spark, d))
 
 
-@query("shapley_measured_overall")
+@query("shapley_measured_overall", lambda: _lattice_sql() + " select backbone, metric, player, round(avg(phi), 6) as phi from phi group by all")
 def shapley_measured_overall(spark, d):
     return shapley.overall(shapley.exact(measured_scores(spark, d)))
 
 
-@query("component_delta_measured")
+@query("component_delta_measured", lambda: _lattice_sql() + " select backbone, rr_origin, metric, player, round(delta, 6) as points from marg where context = 0")
 def component_delta_measured(spark, d):
     """What each component alone adds to its backbone (mask 0), by execution and component match."""
     return shapley.marginals(measured_scores(spark, d)).where("context = 0").select("backbone", "rr_origin", "metric", "player", F.round("delta", 6).alias("points"))
 
 
-@query("pair_interaction_measured")
+@query("pair_interaction_measured", lambda: _lattice_sql() + " select z.backbone, z.rr_origin, z.metric, z.mask as context, round(c.value - a.value - b.value + z.value, 6) as interaction from scores z join scores a using (backbone, rr_origin, metric) join scores b using (backbone, rr_origin, metric) join scores c using (backbone, rr_origin, metric) where z.mask & 6 = 0 and a.mask = z.mask + 2 and b.mask = z.mask + 4 and c.mask = z.mask + 6")
 def pair_interaction_measured(spark, d):
     return shapley.interactions(measured_scores(spark, d))
 
 
-@query("leave_one_out_measured")
+@query("leave_one_out_measured", lambda: _lattice_sql() + " select backbone, rr_origin, metric, player, round(delta, 6) as loss from marg join players using (player) where context + bit = 15")
 def leave_one_out_measured(spark, d):
     return shapley.leave_one_out(measured_scores(spark, d))
 
 
-@query("combine_all_vs_best_measured")
+@query("combine_all_vs_best_measured", lambda: _lattice_sql() + " select backbone, rr_origin, metric, arg_max(mask, (value, -mask)) as best_mask, round(max(value) - max(value) filter (mask = 15), 6) as lead from scores group by all")
 def combine_all_vs_best_measured(spark, d):
     return shapley.all_vs_best(measured_scores(spark, d))
 
 
-@query("schema_ablation_measured")
+@query("schema_ablation_measured", lambda: _judged_sql() + " select a.trained_on as origin, round(a.precision - b.precision, 6) as precision_gain, round(a.recall - b.recall, 6) as recall_gain, round(a.f1 - b.f1, 6) as f1_gain from prf a join prf b using (trained_on, applied_to) where a.with_schema and not b.with_schema and a.trained_on = applied_to")
 def schema_ablation_measured(spark, d):
     """F1 of each verifier with the schema, less that without it, on beams of its own origin."""
     rows = verifier_sql_prf(spark, d).where("trained_on = applied_to")

@@ -253,7 +253,13 @@ def candidate_edit_distance(spark, d):
     return c.where("b is not null").select("k", F.levenshtein("a", "b").alias("distance"))
 
 
-@query("candidate_sql_edit_distance")
+def _distance_sql() -> str:
+    gold = {gold_id: sql for gold_id, _, sql, _ in GOLD}
+    rows = [(g, k, q, gold[g]) for g, k, q in generators.candidates()]
+    return "select gold_id, kind, levenshtein(sql, gold)::int as distance from (values " + ", ".join("(" + ", ".join("'" + x.replace("'", "''") + "'" for x in r) + ")" for r in rows) + ") as v(gold_id, kind, sql, gold)"
+
+
+@query("candidate_sql_edit_distance", _distance_sql())
 def candidate_sql_edit_distance(spark, d):
     """Distance of every candidate query of the catalogue from its gold query."""
     gold = {gold_id: sql for gold_id, _, sql, _ in GOLD}
@@ -320,7 +326,12 @@ def udaf_mrr(spark, d):
     return rows.agg(F.round(F.avg("r"), 6).alias("mrr"))
 
 
-@query("udtf_generate_beam")
+def _generated_sql() -> str:
+    rows = [(g, *item) for g, _, q, _ in GOLD for item in generators.beam(g, q, "udtf", 0.8, 0.9, True)]
+    return "select gold_id, pos::int as pos, kind, sql from (values " + ", ".join(f"('{g}', {p}, '{k}', '" + q.replace("'", "''") + "')" for g, p, k, q in rows) + ") as v(gold_id, pos, kind, sql)"
+
+
+@query("udtf_generate_beam", _generated_sql())
 def udtf_generate_beam(spark, d):
     """A generator as a table function: question in, ranked candidates out."""
     from pyspark.sql.functions import udtf
