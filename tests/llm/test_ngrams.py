@@ -178,3 +178,13 @@ def test_any_order_equals_a_plain_model(spark, order, narrow):
 def test_higher_orders_score_what_they_have_seen_higher():
     texts = ["a b c d", "a c b d", "d c b a", "a b c d"]
     assert sum(map(PlainOrder(texts, 3).score, texts)) > sum(map(PlainOrder(texts, 2).score, texts))
+
+
+def test_the_query_sees_two_words_before(spark, tmp_path):
+    from beamrank.llm.entries import op5_kneser_ney
+
+    held = [i for i in range(200) if zlib.crc32(str(i).encode()) % 7 == 2]
+    rows = [(i, "a b c" if i % 2 else "x b d") for i in range(200) if i not in held] + [(held[0], "a b c"), (held[1], "a b d")]
+    spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    score = {r["doc_id"]: r["score"] for r in op5_kneser_ney(spark, str(tmp_path)).collect()}
+    assert score[held[0]] > score[held[1]] + 0.5
