@@ -1,6 +1,7 @@
 """The word-pair model against a plain version on dictionaries."""
 
 import math
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -188,3 +189,25 @@ def test_the_query_sees_two_words_before(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
     score = {r["doc_id"]: r["score"] for r in op5_kneser_ney(spark, str(tmp_path)).collect()}
     assert score[held[0]] > score[held[1]] + 0.5
+
+
+def test_a_run_takes_few_bytes(spark, tmp_path, monkeypatch):
+    from beamrank.llm import ngrams
+
+    monkeypatch.setattr(ngrams, "scratch_path", lambda *_: f"file://{tmp_path}/model")
+    rng = random.Random(1)
+    rows = [(i, " ".join(f"w{rng.randrange(2000)}" for _ in range(100))) for i in range(200)]
+    model = train_model(spark.createDataFrame(rows, "doc_id bigint, text string"), order=3)
+    runs = sum(x.size for x in model.levels)
+    assert runs > 40_000 and sum(f.stat().st_size for f in tmp_path.rglob("*.bin")) < 8 * runs
+
+
+@pytest.mark.parametrize("bucket_tokens", [60, 1 << 20])
+def test_frequent_runs_and_contexts_of_many_words(spark, bucket_tokens):
+    texts = ["a b c"] * 300 + [f"a b n{i}" for i in range(300)] + [f"n{i} a b c a b" for i in range(40)] + ["c c c c c", ""]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    plain = PlainOrder(texts, 3)
+    odd = [*texts[298:304], *texts[600:605], *texts[-2:], "a b new", "n7 n8 a b n9", "b c a", None]
+    rows = spark.createDataFrame(list(enumerate(odd)), "doc_id bigint, text string")
+    got = {r["doc_id"]: r["score"] for r in score_texts(rows, train_model(docs, bucket_tokens=bucket_tokens, order=3)).collect()}
+    assert all(math.isclose(got[i], plain.score(t), rel_tol=1e-7) for i, t in enumerate(odd))
