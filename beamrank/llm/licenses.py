@@ -3,8 +3,8 @@
 A text is cut into pieces at line ends and after full stops, and each is normalised to lower-case
 words and figures, so that comment marks fall away. A known sentence is found where it starts with a
 piece and ends with one, the same or a later one, so that hard-wrapped notices match; a full stop within
-breaks it. Within a piece, a colon, a semicolon or the end of an address may part sentences too. What
-is found, in order, is a sequence of identifiers, in which rules look for theirs. Rules are ordered, the
+breaks it, but for that of "v." before a version. Within a piece, a colon, a semicolon or the end of an
+address may part sentences too. What is found, in order, is a sequence of identifiers, in which rules look for theirs. Rules are ordered, the
 longest sequence first, and take what they match: a text of three clauses is not also one of two. All
 of it is one narrow projection of SQL functions: nothing is shuffled, and texts without any of a few word
 stems, one of which every known sentence has, are passed over by one search.
@@ -169,7 +169,8 @@ def marked(text: Column) -> Column:
 def known_sentence(table: dict[int, str]) -> str:
     """A pattern of known sentences between marks, the longest first."""
     texts = sorted(table.values(), key=len, reverse=True)
-    return r"<\d+>(?:" + "|".join(s.replace(" ", r"(?: |<\d+>)") for s in texts) + r")(?=[.<]|$)"
+    joined = [re.sub(" ", r"(?: |<\\d+>)", re.sub(r"\bv ", r"v[.]? ", s)) for s in texts]
+    return r"<\d+>(?:" + "|".join(joined) + r")(?=[.<]|$)"
 
 
 def scan_licenses(docs: DataFrame, table: dict[int, str] | None = None, rules: list[tuple[str, str, list[int]]] | None = None) -> DataFrame:
@@ -178,7 +179,7 @@ def scan_licenses(docs: DataFrame, table: dict[int, str] | None = None, rules: l
     known = F.map_from_arrays(F.array(*[F.lit(s) for s in table.values()]), F.array(*[F.lit(k) for k in table]))
     likely = text_or_empty().rlike("(?i)" + "|".join(stem.replace(" ", "[^a-z0-9]+") for stem in STEMS))
     at = lambda x: F.regexp_extract(x, "^<([0-9]+)>", 1)
-    words = lambda x: F.trim(F.regexp_replace(x, "<[0-9]+>", " "))
+    words = lambda x: F.trim(F.regexp_replace(x, "[.]?<[0-9]+>", " "))
     found = F.regexp_extract_all(marked(F.col("text")), F.lit(known_sentence(table)), F.lit(0))
     # each as <identifier@piece>, in order
     tokens = F.transform(found, lambda x: F.concat(F.lit("<"), F.element_at(known, words(x)).cast("string"), F.lit("@"), at(x), F.lit(">")))
